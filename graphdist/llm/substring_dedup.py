@@ -3,8 +3,8 @@
 Words ``[^\\x20\\x09-\\x0D]+`` stay unchanged. A word is removed if a window over it has a word sequence that also
 starts in a document with a smaller doc_id (judged on the input).
 
-1. A task slides over each document: the minimiser of a window is its smallest hash of ``gram`` neighbouring
-   words. A run of windows with one minimiser travels as one packed string (its words, once) to the bucket of that
+1. A task slides over each document: the minimiser of a window is its smallest word, in an order of hashes in which
+   words of up to 3 bytes come last (they are the frequent ones and would make hot buckets). A run of windows with one minimiser travels as one packed string (its words, once) to the bucket of that
    minimiser. Equal runs inside a batch are merged first: occurrences in other documents than the smallest are
    settled there and only their positions go on, so a passage in a third of all rows costs one string a batch.
    Strings for one bucket are packed into one compressed block.
@@ -19,56 +19,40 @@ lose words; an empty table gives an empty table; other columns pass through.
 
 from __future__ import annotations
 
-import hashlib
 import struct
 import zlib
+from collections import defaultdict
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 import zstandard
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from graphdist.llm.arrow_io import column_bytes, slices
 
-WINDOW, GRAM, PIECE = 13, 3, 8 << 20
-_HEAD = "<qqii"  # doc_id, text hash, first window, bytes that follow
-
-
-def _minimisers(words: list[bytes], window: int, gram: int, cache: dict) -> tuple[np.ndarray, np.ndarray]:
-    """For each window the place and the hash of its minimiser (leftmost of the smallest)."""
-    crc = zlib.crc32
-    h = np.empty(len(words), dtype=np.uint64)
-    get = cache.get
-    codes = []
-    for w in words:
-        c = get(w)
-        if c is None:
-            if len(cache) > 500_000:
-                cache.clear()
-            c = cache[w] = crc(w)
-        codes.append(c)
-    h[:] = codes
-    n = len(words) - gram + 1
-    g = np.zeros(n, dtype=np.uint64)
-    for k in range(gram):
-        g = (g ^ h[k : k + n]) * np.uint64(0x9E3779B97F4A7C15)
-        g ^= g >> np.uint64(29)
-    span = window - gram + 1
-    view = np.lib.stride_tricks.sliding_window_view(g, span)
-    at = view.argmin(axis=1)
+WINDOW, PIECE = 13, 8 << 20
+_HEAD = "<qiii"  # doc_id, text hash, first window, bytes that follow
+
+
+def _minimisers(words: list[bytes], sizes: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+    """For each window the place and the value of its minimiser (leftmost of the smallest)."""
+    h = np.fromiter(map(zlib.crc32, words), dtype=np.int64, count=len(words))
+    h |= (sizes <= 3).astype(np.int64) << 32
+    at = np.lib.stride_tricks.sliding_window_view(h, window).argmin(axis=1)
     place = at + np.arange(len(at))
-    return place, g[place]
+    return place, h[place]
 
 
-def _runs(text: bytes, window: int, gram: int, cache: dict):
-    """(first window, number of windows, minimiser hash, packed words) for each run."""
+def _runs(text: bytes, window: int):
+    """(first window, number of windows, minimiser value, packed words) for each run."""
     words = text.split()
     if len(words) < window:
         return
-    place, value = _minimisers(words, window, gram, cache)
+    sizes = np.fromiter(map(len, words), dtype=np.int64, count=len(words))
+    place, value = _minimisers(words, sizes, window)
     joined = b" ".join(words)
-    ends = np.cumsum(np.fromiter(map(len, words), dtype=np.int64, count=len(words)) + 1)
+    ends = np.cumsum(sizes + 1)
     starts = np.concatenate([[0], ends[:-1]])
     first = np.flatnonzero(np.r_[True, place[1:] != place[:-1]])
     count = np.diff(np.r_[first, len(place)])
@@ -82,12 +66,11 @@ def _pack_marks(marks: list[tuple[int, int]]) -> bytes:
     return np.array(marks, dtype="<i4").tobytes()
 
 
-def _scatter(buckets: int, window: int, gram: int):
+def _scatter(buckets: int, window: int):
     """Documents -> (bucket, blob): super-k-mers, and settled marks on their way to any bucket."""
 
     def run(batches):
         packer = zstandard.ZstdCompressor(level=3)
-        cache: dict = {}
         for whole in batches:
             for b in slices(whole, "text", PIECE):
                 seen: dict = {}
@@ -95,7 +78,7 @@ def _scatter(buckets: int, window: int, gram: int):
                 for doc, th, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), column_bytes(b, "text")):
                     if doc is None or text is None:
                         continue
-                    for f, c, v, s in _runs(text, window, gram, cache):
+                    for f, c, v, s in _runs(text, window):
                         old = seen.get(s)
                         if old is None:
                             seen[s] = [v, doc, [(th, f, c)]]
@@ -135,25 +118,19 @@ def _records(blob: bytes, unpack):
     at = 0
     while at < len(data):
         doc, th, f, n = struct.unpack_from(_HEAD, data, at)
-        at += 24
+        at += 20
         yield doc, th, f, data[at : at + n]
         at += n
 
 
 def _duplicate_windows(records: list, window: int) -> dict:
     """Marks (first, count) by (doc, th): windows of a bucket that a smaller doc_id has as well."""
-    number: dict[bytes, int] = {}
-    codes: list[int] = []
-    sizes, docs, ths, firsts = [], [], [], []
-    for doc, th, f, s in records:
-        ws = s.split()
-        codes.extend([number.setdefault(w, len(number)) for w in ws])
-        sizes.append(len(ws))
-        docs.append(doc)
-        ths.append(th)
-        firsts.append(f)
-    code = np.array(codes, dtype=np.int32)
-    size = np.array(sizes, dtype=np.int64)
+    docs, ths, firsts, strings = zip(*records)
+    words = b" ".join(strings).split()
+    size = np.array([s.count(b" ") + 1 for s in strings], dtype=np.int64)
+    number: dict[bytes, int] = defaultdict(count().__next__)
+    code = np.fromiter(map(number.__getitem__, words), dtype=np.int32, count=len(words))
+    del words
     counts = size - window + 1
     total = int(counts.sum())
     base = np.cumsum(size) - size
@@ -214,7 +191,7 @@ def _sweep_buckets(window: int):
     def emit(found: dict):
         keys = list(found)
         return pa.RecordBatch.from_arrays(
-            [pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int64()), pa.array([_pack_marks(found[k]) for k in keys], pa.binary())],
+            [pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int32()), pa.array([_pack_marks(found[k]) for k in keys], pa.binary())],
             ["doc_id", "th", "marks"],
         )
 
@@ -279,16 +256,16 @@ def _rewrite(window: int):
     return run
 
 
-def remove_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, buckets: int | None = None) -> DataFrame:
+def remove_repeats(docs: DataFrame, window: int = WINDOW, buckets: int | None = None) -> DataFrame:
     """``docs`` with n_words, n_removed and kept (the words that stay, joined by one space)."""
     spark = docs.sparkSession
     n = buckets or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     names = [c for c in docs.columns if c not in ("n_words", "n_removed", "kept", "text")]
     base = docs.select(
-        F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text", F.struct(*[F.col(f"`{c}`") for c in names]).alias("row")
+        F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("th"), "text", F.struct(*[F.col(f"`{c}`") for c in names]).alias("row")
     )
-    packed = base.select("doc_id", "th", "text").mapInArrow(_scatter(n, window, gram), "bucket int, blob binary")
-    swept = packed.repartition(n // 4, "bucket").sortWithinPartitions("bucket").mapInArrow(_sweep_buckets(window), "doc_id long, th long, marks binary")
+    packed = base.select("doc_id", "th", "text").mapInArrow(_scatter(n, window), "bucket int, blob binary")
+    swept = packed.repartition(n // 4, "bucket").sortWithinPartitions("bucket").mapInArrow(_sweep_buckets(window), "doc_id long, th int, marks binary")
     row = base.schema["row"].dataType
     marks = swept.select("doc_id", "th", F.lit(0).alias("kind"), "marks", F.lit(None).cast("string").alias("text"), F.lit(None).cast(row).alias("row"))
     texts = base.select("doc_id", "th", F.lit(1).alias("kind"), F.lit(None).cast("binary").alias("marks"), "text", "row")
