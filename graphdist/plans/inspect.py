@@ -11,6 +11,10 @@ def text(df: DataFrame) -> str:
     return df._jdf.queryExecution().executedPlan().toString()
 
 
+def formatted(df: DataFrame) -> str:
+    return df.sparkSession.sparkContext._jvm.PythonSQLUtils.explainString(df._jdf.queryExecution(), "formatted")
+
+
 def counts(df: DataFrame) -> dict[str, int]:
     """Number of exchanges, broadcasts, sorts, joins and Python nodes."""
     t = text(df)
@@ -22,8 +26,8 @@ def counts(df: DataFrame) -> dict[str, int]:
 
 
 def pushed_filters(df: DataFrame) -> list[str]:
-    return re.findall(r"PushedFilters: \[(.*?)\]", text(df))
+    return re.findall(r"PushedFilters: \[(.*)\]", formatted(df))
 
 
 def read_schemas(df: DataFrame) -> list[str]:
-    return re.findall(r"ReadSchema: (struct<.*?>)(?:\s|$|\n)", text(df))
+    return re.findall(r"ReadSchema: (struct<.*>)", formatted(df))

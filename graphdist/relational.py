@@ -163,19 +163,18 @@ register(
 )(lambda s, d: _ranked(s, d).groupBy("rank").pivot("d", list(range(1, 6))).count().na.fill(0).select("rank", *[F.col(f"`{x}`").alias(f"d{x}") for x in range(1, 6)]))
 
 _DEG = f"SELECT src AS id, src // {datasets.UNIT} AS kind, count(*) AS deg FROM edges GROUP BY src"
-_WD = Window.partitionBy("kind").orderBy(F.desc("deg"), "id")
 
 
 def _kinds(s, d):
     return graph.degrees(_w().edges_of(s, d, "geo")).withColumn("kind", F.expr(f"id div {datasets.UNIT}L"))
 
 
-for _f, _col in (("rank", F.rank().over(Window.partitionBy("kind").orderBy(F.desc("deg")))), ("dense_rank", F.dense_rank().over(Window.partitionBy("kind").orderBy(F.desc("deg"))))):
+for _f in ("rank", "dense_rank"):
     register(f"op_win_{_f}", o.query(f"SELECT id, kind, deg, {_f}() OVER (PARTITION BY kind ORDER BY deg DESC) AS r FROM ({_DEG})", o.edges("geo")))(
-        lambda s, d, c=_col: _kinds(s, d).select("id", "kind", "deg", c.cast("long").alias("r"))
+        lambda s, d, f=_f: _kinds(s, d).select("id", "kind", "deg", getattr(F, f)().over(Window.partitionBy("kind").orderBy(F.desc("deg"))).cast("long").alias("r"))
     )
 register("op_win_ntile", o.query(f"SELECT id, kind, ntile(4) OVER (PARTITION BY kind ORDER BY deg DESC, id) AS r FROM ({_DEG})", o.edges("geo")))(
-    lambda s, d: _kinds(s, d).select("id", "kind", F.ntile(4).over(_WD).cast("long").alias("r"))
+    lambda s, d: _kinds(s, d).select("id", "kind", F.ntile(4).over(Window.partitionBy("kind").orderBy(F.desc("deg"), "id")).cast("long").alias("r"))
 )
 register(
     "op_win_lag_lead",

@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame, functions as F
 
 
 def _late(events: DataFrame) -> DataFrame:
-    return events.withWatermark("ts", "10 minutes") if events.isStreaming else events
+    """Streams get the watermark, for which ``ts`` must carry a time zone."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "10 minutes") if events.isStreaming else events
 
 
 def tumbling(events: DataFrame) -> DataFrame:
