@@ -4,7 +4,8 @@ A document's ids are cut into pieces of at most ``capacity``; only longer docume
 hash to shards of about ``shard`` pieces. A shard packs its pieces by best fit in falling order of length; then
 a local search works on the bins that are not full: it takes the emptiest one and moves its pieces into other
 bins, exchanges one of its pieces for a shorter one there, or for two shorter ones, whenever that raises the sum
-of squared fills; bins that run empty vanish. The search stops at the lower bound, or when no exchange helps.
+of squared fills; bins that run empty vanish. The search stops at the lower bound, when no exchange helps, or after
+``max_steps`` looks at a bin.
 
 Defined cases: NULL text counts as empty, a document of one id; repeated rows are packed each; a NULL doc_id is
 kept; an empty table gives an empty table.
@@ -13,66 +14,125 @@ kept; an empty table gives an empty table.
 from __future__ import annotations
 
 import bisect
+import re
+import unicodedata
 import zlib
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
-from graphdist.llm.arrow_io import column_bytes
+from graphdist.llm.arrow_io import column_bytes, slices, tidy
 from graphdist.runtime import materialize
 
-CAPACITY, END_ID, SHARD, CACHE = 4096, 1, 8192, 400_000
+CAPACITY, END_ID, SHARD = 4096, 1, 8192
+SLICE = 8 << 20  # bytes of text numbered together
+REMEMBERED = 500_000  # units, about 200 bytes each; beyond it only those of the last batch stay
+_MARKS = re.compile(r"(?<![!-/:-@\[-`{-~])[!-&(-/:-@\[-`{-~]++(?!')")
+_SAFE = "".join(map(chr, range(32, 127))) + "\n\t\r"
 VOCABULARY = "word_bpe_49k.json"
 
 
 class Encoder:
-    """Ids of whole texts, remembering those of single words.
+    """Ids of whole texts, remembering those of their units.
 
-    The tokenizer splits at white space and its rules never look across it, so the ids of a text are those of
-    the pieces between blanks and line feeds in order; other white space stays inside a piece for the tokenizer.
+    The tokenizer lower-cases, and splits at white space and between letters and runs of marks; but for apostrophes no
+    rule looks across these borders. So the ids of a plain text (``_is_plain``) are those of its lower-cased words and
+    runs of marks in order, where a run beside an apostrophe stays with its word. The units of many texts are numbered
+    by Arrow, each different one is looked up once, and the ids are gathered by number. Any other text is left
+    to the tokenizer as it is.
     """
 
-    def __init__(self, path: str | None = None):
+    def __init__(self, path: str):
         from tokenizers import Tokenizer
 
-        if path is None:
-            import public_tokenizers
-
-            path = public_tokenizers.path(VOCABULARY)
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[bytes, bytes] = {}
+        self.encode = getattr(self.tokenizer, "encode_batch_fast", self.tokenizer.encode_batch)
+        self.known: dict[str, bytes] = {}
+        self.safe = set(_SAFE)
+
+    def _is_plain(self, text: str) -> bool:
+        """Blanks, line feeds, ASCII without other controls, and letters that are composed and stay one letter."""
+        if "<|" in text:
+            return False
+        if not self.safe.issuperset(text):
+            for c in set(text) - self.safe:
+                low = c.lower()
+                if ord(c) < 128 or c == "\u03a3" or not c.isalpha() or len(low) != 1 or not low.isalpha() or unicodedata.normalize("NFC", c) != c:
+                    return False
+                self.safe.add(c)
+        return text.isascii() or unicodedata.is_normalized("NFC", text)
+
+    def _lookup(self, units: list[str]) -> list[bytes]:
+        known = self.known
+        new = [u for u in units if u not in known]
+        for u, e in zip(new, self.encode(new, add_special_tokens=False) if new else ()):
+            known[u] = np.array(e.ids, dtype="<u4").tobytes()
+        found = list(map(known.__getitem__, units))
+        if len(known) > REMEMBERED:
+            self.known = dict(zip(units, found))
+        return found
 
     def ids(self, texts: list[bytes]) -> list[bytes]:
         """Little-endian 32-bit ids of each text."""
-        known = self.known
-        if len(known) > CACHE:
-            known.clear()
-        split = [t.replace(b"\n", b" ").split(b" ") for t in texts]
-        new = list({w for ws in split for w in ws if w not in known})
-        for k in range(0, len(new), 20_000):
-            part = new[k : k + 20_000]
-            for w, e in zip(part, self.tokenizer.encode_batch([w.decode("utf-8", "replace") for w in part], add_special_tokens=False)):
-                known[w] = np.array(e.ids, dtype="<u4").tobytes()
-        get = known.__getitem__
-        return [b"".join(map(get, ws)) for ws in split]
+        out: list[bytes] = [b""] * len(texts)
+        plain, at = [], []
+        for k, t in enumerate(texts):
+            s = t.decode("utf-8", "replace")
+            if self._is_plain(s):
+                plain.append(_MARKS.sub(r" \g<0> ", s.lower()))
+                at.append(k)
+            else:
+                out[k] = np.array(self.encode([s], add_special_tokens=False)[0].ids, dtype="<u4").tobytes()
+        if not plain:
+            return out
+        lists = pc.ascii_split_whitespace(pa.array(plain, pa.large_string()))
+        numbered = lists.flatten().dictionary_encode()
+        units = numbered.dictionary.to_pylist()
+        found = self._lookup(units)
+        pool = np.frombuffer(b"".join(found), dtype="<u4")
+        size = np.fromiter(map(len, found), dtype=np.int64, count=len(found)) // 4
+        first = np.cumsum(size) - size
+        code = numbered.indices.to_numpy(zero_copy_only=False)
+        n = size[code]
+        ends = np.cumsum(n)
+        flat = pool[np.repeat(first[code] - (ends - n), n) + np.arange(int(ends[-1]) if len(ends) else 0)].tobytes()
+        borders = np.concatenate([[0], ends])[lists.offsets.to_numpy() - lists.offsets[0].as_py()] * 4
+        for k, a, b in zip(at, borders[:-1].tolist(), borders[1:].tolist()):
+            out[k] = flat[a:b]
+        return out
+
+
+_ENCODERS: dict[str, Encoder] = {}
+
+
+def encoder(path: str | None = None) -> Encoder:
+    """One encoder a Python worker, kept from task to task: its memory of words is worth more than its space."""
+    import os
+
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    if path is None:
+        import public_tokenizers
+
+        path = public_tokenizers.path(VOCABULARY)
+    if path not in _ENCODERS:
+        _ENCODERS[path] = Encoder(path)
+    return _ENCODERS[path]
 
 
 def pieces(docs: DataFrame, capacity: int = CAPACITY, end_id: int = END_ID, tokenizer: str | None = None) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32) of every piece."""
 
+    @tidy
     def run(batches):
-        import os
-
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        encoder = Encoder(tokenizer)
+        coder = encoder(tokenizer)
         tail = np.array([end_id], dtype="<u4").tobytes()
-        for b in batches:
-            docs, texts = b.column(0).to_pylist(), column_bytes(b, "text")
-            for lo in range(0, len(docs), 256):
+        for whole in batches:
+            for b in slices(whole, "text", SLICE):
                 cols = [[], [], [], [], []]
-                for doc, ids in zip(docs[lo : lo + 256], encoder.ids([t or b"" for t in texts[lo : lo + 256]])):
+                for doc, ids in zip(b.column(0).to_pylist(), coder.ids([t or b"" for t in column_bytes(b, "text")])):
                     ids += tail
                     for p, start in enumerate(range(0, len(ids), 4 * capacity)):
                         part = ids[start : start + 4 * capacity]
@@ -103,7 +163,7 @@ def best_fit(lengths: list[int], capacity: int) -> list[list[int]]:
     return bins
 
 
-def local_search(bins: list[list[int]], lengths: list[int], capacity: int, max_steps: int = 20_000) -> list[list[int]]:
+def local_search(bins: list[list[int]], lengths: list[int], capacity: int, max_steps: int = 1000) -> list[list[int]]:
     """Empty the emptiest bins by moves, one-for-one and two-for-one exchanges that raise the squared fill."""
     fill = [sum(lengths[k] for k in b) for b in bins]
     least = -(-sum(fill) // capacity)
@@ -117,11 +177,11 @@ def local_search(bins: list[list[int]], lengths: list[int], capacity: int, max_s
         if source is None:
             break
         others = sorted((b for b in open_bins if b != source), key=lambda b: (capacity - fill[b], b))
-        if not _improve(source, others, bins, fill, lengths, capacity):
-            stuck.add(source)
-        elif not bins[source]:
-            alive -= 1
+        if _improve(source, others, bins, fill, lengths, capacity):
+            alive -= not bins[source]
             stuck.clear()
+        else:
+            stuck.add(source)
     return [b for b in bins if b]
 
 
