@@ -22,7 +22,7 @@ import hashlib
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from graphdist.llm.arrow_io import column_bytes
+from graphdist.llm.arrow_io import column_bytes, tidy
 from graphdist.runtime import materialize
 
 WINDOW, SHARE, MAX_BYTES = 13, 20, 64 << 20
@@ -119,6 +119,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, s
         schema = schema.add(c, T.LongType())
     schema = schema.add("items_sha256", T.StringType()).add("contaminated", T.BooleanType())
 
+    @tidy
     def run(batches):
         searched = pattern_sets(sets.value, window)
         for b in batches:
@@ -146,6 +147,7 @@ def _in_passes(docs: DataFrame, chunks: list[DataFrame], window: int, share: int
     for chunk in chunks:
         sets = spark.sparkContext.broadcast([(r.item_id, r.text) for r in chunk.collect()])
 
+        @tidy
         def run(batches, sets=sets):
             searched = pattern_sets(sets.value, window)
             for b in batches:

@@ -21,9 +21,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from graphdist.llm.arrow_io import slices
+from graphdist.llm.arrow_io import slices, tidy
 
-BITS, SAMPLE_ROWS, PENALTY, GRAMS, PIECE = 16, 20_000, 12.0, 4, 4 << 20
+BITS, SAMPLE_ROWS, PENALTY, GRAMS, PIECE = 16, 20_000, 12.0, 4, 2 << 20
 
 # fixed values: first code points of script ranges and the script that starts there (0 = none)
 _SCRIPTS = (
@@ -174,6 +174,7 @@ def train(labelled: DataFrame, bits: int = BITS, sample_rows: int = SAMPLE_ROWS)
     if total > sample_rows:
         rows = rows.filter(F.pmod(F.xxhash64("doc_id", F.lit("sample")), F.lit(1_000_003)) < int(1_000_003 * sample_rows / total))
 
+    @tidy
     def count(batches):
         sums: dict = {}
         for whole in batches:
@@ -211,6 +212,7 @@ def identify(docs: DataFrame, model: Model, penalty: float = PENALTY, spans: boo
     if spans:
         schema = schema.add("spans", T.ArrayType(T.StructType().add("first", T.IntegerType()).add("words", T.IntegerType()).add("lang", T.StringType())))
 
+    @tidy
     def run(batches):
         for whole in batches:
             for b in slices(whole, "text", PIECE):

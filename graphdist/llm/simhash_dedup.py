@@ -27,7 +27,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from graphdist.llm.arrow_io import column_bytes
+from graphdist.llm.arrow_io import column_bytes, tidy
 from graphdist.operators.components import connected_components
 from graphdist.runtime import materialize
 
@@ -62,6 +62,7 @@ def _signed(x: int) -> int:
 def fingerprints(docs: DataFrame, text: str = "text", size: int = SHINGLE) -> DataFrame:
     """(doc_id, fp) with fp the 64 bits as a signed long."""
 
+    @tidy
     def run(batches):
         for b in batches:
             fps = [_signed(fingerprint(t, size)) for t in column_bytes(b, "text")]
@@ -131,6 +132,7 @@ def _links_of_sorted(distance: int):
             return _forest(fps, None, distance)
         return _forest(fps[sides == 1], fps[sides == 2], distance)
 
+    @tidy
     def run(batches):
         key, held = None, []
         for b in batches:

@@ -29,7 +29,7 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from graphdist.llm.arrow_io import column_bytes, slices
+from graphdist.llm.arrow_io import column_bytes, slices, tidy
 
 WINDOW, PIECE = 13, 8 << 20
 _HEAD = "<qiii"  # doc_id, text hash, first window, bytes that follow
@@ -69,6 +69,7 @@ def _pack_marks(marks: list[tuple[int, int]]) -> bytes:
 def _scatter(buckets: int, window: int):
     """Documents -> (bucket, blob): super-k-mers, and settled marks on their way to any bucket."""
 
+    @tidy
     def run(batches):
         packer = zstandard.ZstdCompressor(level=3)
         for whole in batches:
@@ -195,6 +196,7 @@ def _sweep_buckets(window: int):
             ["doc_id", "th", "marks"],
         )
 
+    @tidy
     def run(batches):
         unpack = zstandard.ZstdDecompressor()
         key, held = None, []
@@ -220,6 +222,7 @@ def _sweep_buckets(window: int):
 def _rewrite(window: int):
     """Rows sorted by (doc_id, th, kind): marks first, then the texts they belong to."""
 
+    @tidy
     def run(batches):
         key, marks = None, []
         for b in batches:
@@ -259,17 +262,18 @@ def _rewrite(window: int):
 def remove_repeats(docs: DataFrame, window: int = WINDOW, buckets: int | None = None) -> DataFrame:
     """``docs`` with n_words, n_removed and kept (the words that stay, joined by one space)."""
     spark = docs.sparkSession
-    n = buckets or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    n = buckets or 4 * parts
     names = [c for c in docs.columns if c not in ("n_words", "n_removed", "kept", "text")]
     base = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("th"), "text", F.struct(*[F.col(f"`{c}`") for c in names]).alias("row")
     )
     packed = base.select("doc_id", "th", "text").mapInArrow(_scatter(n, window), "bucket int, blob binary")
-    swept = packed.repartition(n // 4, "bucket").sortWithinPartitions("bucket").mapInArrow(_sweep_buckets(window), "doc_id long, th int, marks binary")
+    swept = packed.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(_sweep_buckets(window), "doc_id long, th int, marks binary")
     row = base.schema["row"].dataType
     marks = swept.select("doc_id", "th", F.lit(0).alias("kind"), "marks", F.lit(None).cast("string").alias("text"), F.lit(None).cast(row).alias("row"))
     texts = base.select("doc_id", "th", F.lit(1).alias("kind"), F.lit(None).cast("binary").alias("marks"), "text", "row")
-    met = marks.union(texts).repartition(n // 4, "doc_id", "th").sortWithinPartitions("doc_id", "th", "kind")
+    met = marks.union(texts).repartition(parts, "doc_id", "th").sortWithinPartitions("doc_id", "th", "kind")
     schema = T.StructType([T.StructField("row", row), T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept", T.StringType())])
     done = met.mapInArrow(_rewrite(window), schema)
     return done.select("row.*", "n_words", "n_removed", "kept")
