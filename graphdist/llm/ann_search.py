@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 
 from graphdist.runtime import materialize
 
-PARTS, PROBES, SAMPLE, BLOCK, K, EVERY = 32, 12, 8000, 8192, 20, 20
+PARTS, PROBES, SAMPLE, BLOCK, K, EVERY = 32, 22, 8000, 8192, 20, 20
 
 
 def usable(vec: str = "embedding"):
