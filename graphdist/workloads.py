@@ -481,12 +481,12 @@ register(
 
 
 def queries():
-    from graphdist import relational
+    from graphdist import experiments, relational
 
-    return QUERIES | relational.QUERIES
+    return QUERIES | experiments.QUERIES | relational.QUERIES
 
 
 def oracle_sql():
-    from graphdist import relational
+    from graphdist import experiments, relational
 
-    return ORACLES | relational.ORACLES
+    return ORACLES | experiments.ORACLES | relational.ORACLES
