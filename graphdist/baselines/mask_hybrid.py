@@ -72,6 +72,18 @@ def upper_bound(pairs: DataFrame, masks: DataFrame) -> DataFrame:
     return pairs.join(met, "pair_id", "left").select("pair_id", "s", "t", F.when(F.col("s") == F.col("t"), 0).otherwise(F.col("ub")).cast("int").alias("ub"))
 
 
+def pruning(masks: DataFrame):
+    """A further test for ``two_hop.pruned_two_hop``: drop reached vertices that the masks answer already."""
+
+    def bound(root: int, reached: DataFrame) -> DataFrame:
+        reached = cut(reached)
+        ask = reached.select(F.col("v").alias("pair_id"), F.lit(root).cast("long").alias("s"), F.col("v").alias("t"))
+        ub = upper_bound(ask, masks).select(F.col("pair_id").alias("v"), "ub")
+        return reached.join(ub, "v", "left").filter(f"ub is null or ub > d or v = {int(root)}").select("v", "d")
+
+    return bound
+
+
 def distance(edges: DataFrame, roots: DataFrame, masks: DataFrame, pairs: DataFrame) -> DataFrame:
     """(pair_id, s, t, ub, dist): the refined bound made exact by the search without the roots."""
     bounds = cut(upper_bound(pairs, masks))

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from graphdist import datasets, oracles as o
 from graphdist.baselines import independent_set, mask_hybrid, online, two_hop
-from graphdist.operators import gateway, graph, landmarks as lmk, metrics, query, verify
+from graphdist.operators import gateway, graph, landmarks as lmk, metrics, verify
 from graphdist.operators.engine import Index
 from graphdist.runtime import checkpoint_dir, cut, table
 from graphdist.sources import edge_lists, index_store
@@ -187,23 +187,14 @@ register("exactness_violations", "SELECT CAST(0 AS BIGINT) AS pair_id, CAST(0 AS
 )
 
 
-@register("pruned_two_hop_masked", o.query("SELECT p.pair_id, p.s, p.t, p.dist FROM truth p", o.edges("example14"), o.pairs(100), o.truth("example14")))
+@register("pruned_two_hop_masked")
 def pruned_masked(s, d):
-    """Pruned labelling that consults the masks of two roots first; label and mask bound together are exact."""
+    """(v, lm, d) of three landmarks pruned with the help of the masks of two roots before them."""
     w = _w()
-    e, p = w.edges_of(s, d, "example14"), w.pairs_of(s, d, "example14")
-    order = cut(lmk.top_degree(e, graph.vertices(e).count()))
-    roots = cut(order.filter("rank < 2"))
-    masks = cut(mask_hybrid.labels(e, roots))
-
-    def bound(root, reached):
-        ask = reached.select(F.col("v").alias("pair_id"), F.lit(root).cast("long").alias("s"), F.col("v").alias("t"), "d")
-        ub = mask_hybrid.upper_bound(ask.select("pair_id", "s", "t"), masks).select(F.col("pair_id").alias("v"), "ub")
-        return reached.join(ub, "v", "left").filter("ub is null or ub > d or ub = 0").select("v", "d")
-
-    labels = cut(two_hop.pruned_two_hop(e, order.filter("rank >= 2"), bound))
-    both = query.two_hop(p, labels).join(mask_hybrid.upper_bound(p, masks).select("pair_id", "ub"), "pair_id")
-    return both.select("pair_id", "s", "t", F.least("d", "ub").alias("dist"))
+    e = w.edges_of(s, d, "users")
+    order = w.marks_of(s, d, "users", 5)
+    masks = cut(mask_hybrid.labels(e, cut(order.filter("rank < 2"))))
+    return two_hop.pruned_two_hop(e, order.filter("rank >= 2"), mask_hybrid.pruning(masks))
 
 
 @register("landmarks_random")

@@ -177,6 +177,19 @@ def test_masks_are_distance_differences(spark):
                 assert bool(r["m1"] >> bit & 1) == (diff == -1) and bool(r["m0"] >> bit & 1) == (diff == 0 and r["d"] > 0)
 
 
+def test_pruned_labels_with_masks_are_exact(spark):
+    raw = [(0, 1), (1, 2), (2, 3)]
+    near = adjacency(raw)
+    truth = all_pairs(near)
+    e, p = edges(spark, raw), pairs_frame(spark, near)
+    order = cut(lmk.top_degree(e, 4))
+    masks = cut(mask_hybrid.labels(e, cut(order.filter("rank < 1")), width=1))
+    lab = two_hop.pruned_two_hop(e, order.filter("rank >= 1"), mask_hybrid.pruning(masks))
+    both = query.two_hop(p, lab).join(mask_hybrid.upper_bound(p, masks).select("pair_id", "ub"), "pair_id")
+    assert all(min(x for x in (r["d"], r["ub"]) if x is not None) == truth[r["s"], r["t"]] for r in both.collect())
+    assert lab.count() <= 6
+
+
 def test_codec(spark, example):
     for bits in (8, 32):
         back = codec.unpack(codec.pack(example.labels, example.landmarks, bits), example.landmarks, bits)
