@@ -183,7 +183,9 @@ def test_line_dedup_against_brute_force(make_docs):
             out.append(" ".join(w))
         rows.append((d, "\n".join(out + [""] * (d % 2))))
     want = brute_lines(rows)
-    out = line_dedup.dedup_lines(make_docs(rows))
+    from pyspark.sql import functions as F
+
+    out = line_dedup.dedup_lines(make_docs(rows).withColumn("n_lines", F.lit("clash")))
     assert out.columns == [*make_docs([]).columns, "n_lines", "n_removed"]
     got = {x["doc_id"]: x["text"] for x in out.collect()}
     lines = lambda m: sum(len([x for x in t.split("\n") if x.strip()]) for t in m.values())
