@@ -205,6 +205,23 @@ def test_line_dedup_edge_cases(make_docs):
     assert line_dedup.dedup_lines(make_docs([])).isEmpty()
 
 
+def test_line_dedup_links_rare_variants_of_a_template(make_docs, monkeypatch):
+    monkeypatch.setattr(line_dedup, "_BLOCK", 8, raising=False)
+    r = random.Random(11)
+    rows = []
+    for _ in range(4):
+        template = sentence(r, 60)
+        rows += [(len(rows) + k, template + " " + sentence(r, 16)) for k in range(9)]  # the head: alike by the template only
+        for _ in range(30):
+            tail = sentence(r, 16).split()
+            for at, n in ((0, r.randrange(1, 8)), (15, r.randrange(1, 8))):
+                line = " ".join([template, *tail[:at], "edited", *tail[at + 1 :]])
+                rows += [(1000 + len(rows) + k, line) for k in range(n)]
+    want = brute_lines(rows)
+    got = {x["doc_id"]: x["text"] for x in line_dedup.dedup_lines(make_docs(rows)).collect()}
+    assert sum(t != "" for t in want.values()) <= sum(t != "" for t in got.values()) <= sum(t != "" for t in want.values()) + 2
+
+
 def test_native_plans_have_no_python(make_docs, corpus):
     from graphdist.plans import inspect
 
