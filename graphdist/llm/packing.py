@@ -2,10 +2,9 @@
 
 A document's ids are cut into pieces of at most ``capacity``; only longer documents are cut. Pieces are dealt by
 hash to shards of about ``shard`` pieces. A shard packs its pieces by best fit in falling order of length; then
-a local search works on the bins that are not full: it takes the emptiest one and moves its pieces into other
-bins, exchanges one of its pieces for a shorter one there, or for two shorter ones, whenever that raises the sum
-of squared fills; bins that run empty vanish. The search stops at the lower bound, when no exchange helps, or after
-``max_steps`` looks at a bin.
+a local search works on the bins that are not full: it takes the emptiest one and moves one or two of its pieces into
+another bin, or exchanges one for one, one for two or two for one with it, whenever that raises the sum of squared
+fills; bins that run empty vanish. The search stops only at the lower bound or when no such exchange is left.
 
 Defined cases: NULL text counts as empty, a document of one id; repeated rows are packed each; a NULL doc_id is
 kept; an empty table gives an empty table.
@@ -14,6 +13,7 @@ kept; an empty table gives an empty table.
 from __future__ import annotations
 
 import bisect
+import heapq
 import re
 import unicodedata
 import zlib
@@ -163,73 +163,133 @@ def best_fit(lengths: list[int], capacity: int) -> list[list[int]]:
     return bins
 
 
-def local_search(bins: list[list[int]], lengths: list[int], capacity: int, max_steps: int = 1000) -> list[list[int]]:
-    """Empty the emptiest bins by moves, one-for-one and two-for-one exchanges that raise the squared fill."""
-    fill = [sum(lengths[k] for k in b) for b in bins]
-    least = -(-sum(fill) // capacity)
-    alive = len(bins)
-    stuck: set[int] = set()
-    for _ in range(max_steps):
-        if alive <= least:
-            break
-        open_bins = [b for b in range(len(bins)) if bins[b] and fill[b] < capacity]
-        source = min((b for b in open_bins if b not in stuck), key=lambda b: (fill[b], b), default=None)
-        if source is None:
-            break
-        others = sorted((b for b in open_bins if b != source), key=lambda b: (capacity - fill[b], b))
-        if _improve(source, others, bins, fill, lengths, capacity):
-            alive -= not bins[source]
-            stuck.clear()
-        else:
-            stuck.add(source)
-    return [b for b in bins if b]
+class _Sums:
+    """Lengths (or sums of two lengths) that each open bin can give, all bins in one flat array.
 
+    A bin's values are distinct, so their number is bounded by the capacity, not by the pieces. Those of a
+    changed bin are struck out and written anew at the end.
+    """
 
-def _improve(source, others, bins, fill, lengths, capacity) -> bool:
-    """One exchange between ``source`` and another bin, the first found that raises the squared fill."""
-    items = sorted(bins[source], key=lambda k: -lengths[k])
-
-    def apply(target, out, back):
-        for k in out:
-            bins[source].remove(k)
-            bins[target].append(k)
-        for k in back:
-            bins[target].remove(k)
-            bins[source].append(k)
-        d = sum(lengths[k] for k in out) - sum(lengths[k] for k in back)
-        fill[source] -= d
-        fill[target] += d
+    GONE = 1 << 40  # no exchange fits it, on either side
+
+    def __init__(self):
+        self.value, self.bin = np.full(1024, self.GONE, dtype=np.int64), np.zeros(1024, dtype=np.int64)
+        self.at: dict[int, tuple[int, int]] = {}
+        self.end = 0
+
+    def put(self, b: int, values: np.ndarray) -> None:
+        lo, hi = self.at.pop(b, (0, 0))
+        self.value[lo:hi] = self.GONE
+        if self.end + len(values) > len(self.value):
+            self._tidy(len(values))
+        if len(values):
+            self.at[b] = (self.end, self.end + len(values))
+            self.value[self.end : self.end + len(values)] = values
+            self.bin[self.end : self.end + len(values)] = b
+            self.end += len(values)
+
+    def _tidy(self, room: int) -> None:
+        parts = [(b, self.value[lo:hi]) for b, (lo, hi) in self.at.items()]
+        size = 2 * (sum(len(v) for _, v in parts) + room) + 1024
+        self.value, self.bin, self.at, self.end = np.full(size, self.GONE, dtype=np.int64), np.zeros(size, dtype=np.int64), {}, 0
+        for b, v in parts:
+            self.put(b, v)
+
+    def of(self, b: int) -> np.ndarray:
+        lo, hi = self.at.get(b, (0, 0))
+        return self.value[lo:hi]
+
+
+def local_search(bins: list[list[int]], lengths: list[int], capacity: int) -> list[list[int]]:
+    """Empty the emptiest bins by moves and exchanges that raise the squared fill, until none is left.
+
+    A bin is looked at in both roles, as giver and as taker, against all others at once. It comes up again only
+    after it has changed: between two bins that were looked at and did not change there is no exchange.
+    """
+    bins = [list(b) for b in bins]
+    fill = np.array([sum(lengths[k] for k in b) for b in bins], dtype=np.int64)
+    least = -(-int(fill.sum()) // capacity)
+    alive = sum(map(bool, bins))
+    ones, twos = _Sums(), _Sums()
+    queue: list[tuple[int, int]] = []
+    waiting: set[int] = set()
+
+    def changed(b):
+        open_ = bool(bins[b]) and fill[b] < capacity
+        held = sorted(lengths[k] for k in bins[b]) if open_ else []
+        v = np.array(sorted({0, *held}) if open_ else [], dtype=np.int64)  # 0: nothing comes back
+        ones.put(b, v)
+        again = np.array(sorted({x for x, y in zip(held, held[1:]) if x == y}), dtype=np.int64)
+        a, c = np.triu_indices(max(0, len(v) - 1), 1)
+        twos.put(b, np.unique(np.concatenate([v[1:][a] + v[1:][c], 2 * again])))
+        if open_:
+            waiting.add(b)
+            heapq.heappush(queue, (int(fill[b]), b))
+
+    def pick(b, total):
+        """One piece or two pieces of the bin with this sum."""
+        if total == 0:
+            return []
+        seen: dict[int, int] = {}
+        for k in bins[b]:
+            if lengths[k] == total:
+                return [k]
+        for k in bins[b]:
+            if total - lengths[k] in seen:
+                return [seen[total - lengths[k]], k]
+            seen.setdefault(lengths[k], k)
+        raise AssertionError("no such pieces")
+
+    def exchange(giver, taker, out, back):
+        there, here = pick(giver, out), pick(taker, back)
+        bins[giver] = [k for k in bins[giver] if k not in there] + here
+        bins[taker] = [k for k in bins[taker] if k not in here] + there
+        fill[giver] -= out - back
+        fill[taker] += out - back
+        changed(giver)
+        changed(taker)
+
+    def best(gain, ok):
+        gain = np.where(ok, gain, 0)
+        i = int(gain.argmax()) if len(gain) else 0
+        return (int(gain[i]), i) if len(gain) else (0, 0)
+
+    def look(b) -> bool:
+        one, two = ones.of(b), twos.of(b)
+        both = np.union1d(one, two)
+        found = (0, None)
+        for theirs, mine in ((ones, both), (twos, one)):  # b gives: the largest sum that still fits
+            back, t = theirs.value[: theirs.end], theirs.bin[: theirs.end]
+            out = mine[np.maximum(np.searchsorted(mine, back + capacity - fill[t], side="right") - 1, 0)]
+            d = out - back
+            gain, i = best(d * (fill[t] - fill[b] + d), (d > 0) & (t != b) & (fill[t] + d > fill[b]))
+            if gain > found[0]:
+                found = (gain, (b, int(t[i]), int(out[i]), int(back[i])))
+        if found[1] is None:
+            for theirs, mine in ((ones, both), (twos, one)):  # b takes, and gives back as little as makes room
+                out, g = theirs.value[: theirs.end], theirs.bin[: theirs.end]
+                i = np.searchsorted(mine, out - (capacity - fill[b]), side="left")
+                back = mine[np.minimum(i, len(mine) - 1)]
+                d = out - back
+                gain, i = best(d * (fill[b] - fill[g] + d), (d > 0) & (d <= capacity - fill[b]) & (g != b) & (fill[b] + d > fill[g]))
+                if gain > found[0]:
+                    found = (gain, (int(g[i]), b, int(out[i]), int(back[i])))
+        if found[1] is None:
+            return False
+        exchange(*found[1])
         return True
 
-    def better(target, d):
-        return 0 < d <= capacity - fill[target] and fill[target] + d > fill[source]
-
-    for k in items:  # move
-        for t in others:
-            if better(t, lengths[k]):
-                return apply(t, [k], [])
-    for k in items:  # one for one, then one for two
-        for t in others:
-            room = capacity - fill[t]
-            theirs = sorted(bins[t], key=lambda j: lengths[j])
-            for j in theirs:
-                if better(t, lengths[k] - lengths[j]):
-                    return apply(t, [k], [j])
-            for a in range(len(theirs)):
-                for c in range(a + 1, len(theirs)):
-                    d = lengths[k] - lengths[theirs[a]] - lengths[theirs[c]]
-                    if d <= 0:
-                        break
-                    if d <= room and better(t, d):
-                        return apply(t, [k], [theirs[a], theirs[c]])
-    for a in range(len(items)):  # two for one
-        for c in range(a + 1, len(items)):
-            n = lengths[items[a]] + lengths[items[c]]
-            for t in others:
-                for j in bins[t]:
-                    if better(t, n - lengths[j]):
-                        return apply(t, [items[a], items[c]], [j])
-    return False
+    if alive > least:
+        for b in range(len(bins)):
+            changed(b)
+    while queue and alive > least:
+        f, b = heapq.heappop(queue)
+        if b not in waiting or f != fill[b]:
+            continue
+        waiting.discard(b)
+        if look(b):
+            alive = sum(map(bool, bins)) if fill.min() == 0 else alive
+    return [b for b in bins if b]
 
 
 def pack_shard(frame: pd.DataFrame, capacity: int) -> pd.DataFrame:

@@ -102,6 +102,22 @@ def test_local_search_empties_bins():
     assert len(packed) <= -(-sum(lengths) // 100) + 1
 
 
+def test_local_search_ends_only_where_no_exchange_is_left():
+    r = random.Random(1)
+    lengths = [r.randrange(1000, 2701) for _ in range(2500)]
+    packed = packing.local_search(packing.best_fit(lengths, 4096), lengths, 4096)
+    assert sorted(k for b in packed for k in b) == list(range(2500))
+    bins = [sorted(lengths[k] for k in b) for b in packed]
+    fill = np.array([sum(b) for b in bins])
+    sums = [(t, m) for t, b in enumerate(bins) for m in {0, *b}]
+    pairs = [(t, x + y) for t, b in enumerate(bins) for i, x in enumerate(b) for y in b[i + 1 :]]
+    for outs, backs in ((sums, sums), (sums, pairs), (pairs, sums)):
+        t, m = np.array(backs).T
+        for g, n in outs:
+            d = n - m
+            assert not ((t != g) & (d > 0) & (d <= 4096 - fill[t]) & (fill[t] + d > fill[g])).any()
+
+
 # chat ---------------------------------------------------------------------------------------------------------
 
 
