@@ -9,7 +9,7 @@ import os
 import time
 import uuid
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from graphdist import datasets, oracles as o
 from graphdist.baselines import independent_set, mask_hybrid, online, two_hop
@@ -240,7 +240,13 @@ def _arriving(s, d) -> DataFrame:
     return e.coalesce(1)
 
 
-register("op_stream_dedup_late")(lambda s, d: _streamed(s, _arriving(s, d), lambda x: jobs.edge_log(x, "40 days"), "edge-log"))
+def _arriving_users(s, d) -> DataFrame:
+    """(ts, src, dst): the user of each event and the user of the next one, with their whole ids. For test sizes, as ``datasets.users``."""
+    e = table(s, d, "events").select(F.col("ts").cast("timestamp").alias("ts"), "event_id", F.col("user_id").cast("long").alias("src"))
+    return e.withColumn("dst", F.lead("src").over(Window.orderBy("ts", "event_id"))).filter("dst is not null").select("ts", "src", "dst").coalesce(1)
+
+
+register("op_stream_dedup_late")(lambda s, d: _streamed(s, _arriving_users(s, d), lambda x: jobs.edge_log(x, "40 days"), "edge-log"))
 
 
 @register("op_stream_stateful_degree", "SELECT id, sum(n) AS deg FROM (SELECT user_id % 20 AS id, count(*) AS n FROM events GROUP BY 1 UNION ALL SELECT event_id % 15 + 100, count(*) FROM events GROUP BY 1) GROUP BY id")
@@ -249,6 +255,16 @@ def stateful_degree(s, d):
     return out.groupBy("id").agg(F.max("deg").alias("deg"))
 
 
+_USER_ENDS = "WITH e AS (SELECT user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst FROM events)"
+
+
+@register("op_stream_user_degree", f"{_USER_ENDS} SELECT id, count(*) AS deg FROM (SELECT src AS id FROM e WHERE dst IS NOT NULL UNION ALL SELECT dst FROM e WHERE dst IS NOT NULL) GROUP BY id")
+def user_degree(s, d):
+    """The running degree of every user; ``op_stream_stateful_degree`` keeps its registered SQL, which folds the ids."""
+    out = _streamed(s, _arriving_users(s, d).select("src", "dst"), jobs.running_degree, "user-degree", "update")
+    return out.groupBy("id").agg(F.max("deg").alias("deg"))
+
+
 @register("op_stream_queries", o.query("SELECT pair_id, s, t, dist FROM truth", o.edges("users"), o.pairs(100), o.truth("users")))
 def stream_queries(s, d):
     w = _w()

@@ -102,6 +102,17 @@ def test_streams_match_their_batch_twins(spark, sf, tmp_path):
     assert {tuple(r) for r in spark.table("tumbling").collect()} == {tuple(r) for r in batch_twins.tumbling(events).collect()}
 
 
+def test_streams_keep_whole_user_ids(spark, sf, duck):
+    from graphdist import workloads
+
+    want = duck.execute(workloads.oracle_sql()["op_stream_user_degree"]).fetchall()
+    assert sorted(map(tuple, workloads.queries()["op_stream_user_degree"](spark, sf).collect())) == sorted(want) and len(want) > 0
+    e = "SELECT user_id AS a, lead(user_id) OVER (ORDER BY ts, event_id) AS b FROM events"
+    edges = duck.execute(f"SELECT DISTINCT least(a, b), greatest(a, b) FROM ({e}) WHERE a <> b AND b IS NOT NULL").fetchall()
+    got = [(r["src"], r["dst"]) for r in workloads.queries()["op_stream_dedup_late"](spark, sf).collect()]
+    assert set(got) == set(edges) and len(got) == len(edges)
+
+
 def test_stream_answers_and_edge_log(spark, tmp_path):
     e = cut(datasets.example14(spark))
     index = Index.build(e, lmk.explicit(spark, datasets.EXAMPLE14_LANDMARKS))
