@@ -4,9 +4,9 @@ Learning: character n-grams (1 to 4 code points of ``^word$``) and whole words o
 language into a hashed table of ``2**bits`` features; smoothed log probabilities, centred over the languages, are
 the model. It is fitted on a bounded sample: about ``sample_rows`` labelled rows, chosen by a hash of doc_id.
 
-Prediction: a word's score for a language is the sum over its features. The script of its first letter (code point
-ranges) narrows the candidates to languages seen in that script; a word in a script no language was seen in says
-nothing. Viterbi with a penalty for each switch of language labels every word; neighbouring words of one label are
+Prediction: a word's score for a language is the sum over its features. A letter is what ``str.isalpha`` says. The script
+of a word's first letter in a listed script (code point ranges) narrows the candidates to languages seen in that script; a word
+in a listed script no language was seen in says nothing. A word with letters outside the ranges alone may be of any language. Viterbi with a penalty for each switch of language labels every word; neighbouring words of one label are
 a span. The text's language is the one with most words; the score is the share of its words, tempered by how far
 their mean score is from the next language.
 
@@ -35,7 +35,18 @@ _SCRIPTS = (
 )
 _STARTS = np.array([a for a, _ in _SCRIPTS], dtype=np.uint32)
 _KINDS = np.array([b for _, b in _SCRIPTS], dtype=np.int8)
-N_SCRIPTS = 25
+OTHER, N_SCRIPTS = 25, 26  # OTHER: letters outside the ranges
+
+
+def _script_table() -> np.ndarray:
+    """The script of every code point; 0 for all that is no letter."""
+    n = 0x110000
+    kinds = _KINDS[np.searchsorted(_STARTS, np.arange(n, dtype=np.uint32), side="right") - 1]
+    letter = np.fromiter((chr(c).isalpha() for c in range(n)), dtype=bool, count=n)
+    return np.where(letter, np.where(kinds > 0, kinds, OTHER), 0).astype(np.int8)
+
+
+_SCRIPT_OF = _script_table()
 
 
 def _features(words: list[str], bits: int):
@@ -46,13 +57,15 @@ def _features(words: list[str], bits: int):
     ends = np.cumsum(sizes)
     starts = ends - sizes
     word = np.repeat(np.arange(len(words)), sizes)
-    script_at = _KINDS[np.searchsorted(_STARTS, code, side="right") - 1]
+    script_at = _SCRIPT_OF[code]
     edge = np.zeros(len(code), dtype=bool)
     edge[starts] = True
     edge[ends - 1] = True
     script_at[edge] = 0
     script = np.zeros(len(words), dtype=np.int8)
-    letters = np.flatnonzero(script_at)
+    other = np.flatnonzero(script_at == OTHER)
+    script[word[other]] = OTHER
+    letters = np.flatnonzero((script_at > 0) & (script_at != OTHER))
     script[word[letters][::-1]] = script_at[letters][::-1]
     c = code.astype(np.uint64) + np.uint64(1)
     shift = np.uint64(64 - bits)
@@ -87,6 +100,7 @@ class Model:
         self.weights = (logs - logs.mean(axis=1, keepdims=True)).astype(np.float32) if langs else logs.astype(np.float32)
         share = scripts / np.maximum(1, scripts.sum(axis=0, keepdims=True))
         self.candidates = share >= 0.01  # scripts x languages
+        self.candidates[OTHER] = True
 
     def score(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(scores, says) of distinct words; a word that says nothing has zero scores."""

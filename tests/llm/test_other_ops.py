@@ -307,3 +307,18 @@ def test_language_spans_and_edge_cases(spark, make_docs):
     assert language_id.identify(make_docs([]), model).isEmpty()
     empty = language_id.train(labelled.limit(0))
     assert {x["lang_pred"] for x in language_id.identify(docs, empty).collect()} == {"und"}
+
+
+def test_every_letter_counts():
+    texts = {"dv": "ދިވެހި ބަސް ރާއްޖޭގެ", "en": "ｈｅｌｌｏ ｗｏｒｌｄ", "ii": "ꆈꌠ ꉙ ꁱꂷ"}  # Thaana, fullwidth Latin, Yi
+    langs = sorted(texts)
+    counts, scripts = np.zeros((1 << 16, 3)), np.zeros((language_id.N_SCRIPTS, 3))
+    for k, g in enumerate(langs):
+        feat, _, script = language_id._features(texts[g].split(), 16)
+        np.add.at(counts[:, k], feat, 1)
+        np.add.at(scripts[:, k], script, 1)
+    model = language_id.Model(langs, counts, scripts, 16)
+    for g, t in texts.items():
+        got, score, spans = language_id.predict([t], model)[0]
+        assert got == g and score > 0.5 and [x[2] for x in spans] == [g]
+    assert [x[0] for x in language_id.predict(["123 !?", "१२३ ×", None], model)] == ["und"] * 3
