@@ -8,7 +8,7 @@ starts in a document with a smaller doc_id (judged on the input).
    minimiser. Equal runs inside a batch are merged first: occurrences in other documents than the smallest are
    settled there and only their positions go on, so a passage in a third of all rows costs one string a batch.
    Strings for one bucket are packed into one compressed block.
-2. A bucket numbers its words, numbers its windows by sorting the rows of word numbers (exact: equal numbers mean
+2. There are as many buckets as the text fills at about ``BUCKET`` bytes each. A bucket numbers its words, numbers its windows by sorting the rows of word numbers (exact: equal numbers mean
    equal words), and marks each window that a smaller doc_id has too.
 3. Marks and texts meet by document in sorted order; a task streams through them and rewrites one text at a time.
 
@@ -19,6 +19,7 @@ lose words; an empty table gives an empty table; other columns pass through.
 
 from __future__ import annotations
 
+import hashlib
 import struct
 import zlib
 from collections import defaultdict
@@ -30,8 +31,12 @@ import zstandard
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from graphdist.llm.arrow_io import column_bytes, slices, tidy
+from graphdist.llm.skew import spread_join
+from graphdist.runtime import materialize
 
 WINDOW, PIECE = 13, 8 << 20
+#: Text a bucket is meant to hold, and bytes of strings a task holds of one bucket; what goes beyond is counted by Spark.
+BUCKET, HELD = 8 << 20, 24 << 20
 _HEAD = "<qiii"  # doc_id, text hash, first window, bytes that follow
 
 
@@ -186,33 +191,58 @@ def _as_marks(at, of, inner, docs, ths, firsts) -> dict:
     return out
 
 
-def _sweep_buckets(window: int):
-    """Blobs sorted by bucket -> (doc_id, th, marks)."""
+def _single_windows(records, window: int):
+    """(doc, th, first, hash) of every window of the records."""
+    for doc, th, first, s in records:
+        words = s.split()
+        for k in range(len(words) - window + 1):
+            yield doc, th, first + k, hashlib.blake2b(b" ".join(words[k : k + window]), digest_size=16).digest()
+
+
+def _sweep_buckets(window: int, limit: int):
+    """Blobs sorted by bucket -> (doc_id, th, marks, hash): marks, or (with a hash) a window still to be judged."""
 
     def emit(found: dict):
         keys = list(found)
+        none = pa.nulls(len(keys), pa.binary())
         return pa.RecordBatch.from_arrays(
-            [pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int32()), pa.array([_pack_marks(found[k]) for k in keys], pa.binary())],
-            ["doc_id", "th", "marks"],
+            [pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int32()), pa.array([_pack_marks(found[k]) for k in keys], pa.binary()), none],
+            ["doc_id", "th", "marks", "hash"],
         )
 
+    def pass_on(records):
+        rows = list(_single_windows(records, window))
+        for k in range(0, len(rows), 1 << 16):
+            part = rows[k : k + (1 << 16)]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([r[0] for r in part], pa.int64()), pa.array([r[1] for r in part], pa.int32()), pa.array([_pack_marks([(r[2], 1)]) for r in part], pa.binary()), pa.array([r[3] for r in part], pa.binary())],
+                ["doc_id", "th", "marks", "hash"],
+            )
+
     @tidy
     def run(batches):
         unpack = zstandard.ZstdDecompressor()
-        key, held = None, []
+        key, held, size = None, [], 0
         for b in batches:
             for k, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 if k != key:
                     if held and (found := _duplicate_windows(held, window)):
                         yield emit(found)
-                    key, held = k, []
+                    key, held, size = k, [], 0
                 if blob[:1] == b"M":
                     found = {}
                     for doc, th, _, m in _records(blob, unpack):
                         found[(doc, th)] = [tuple(x) for x in np.frombuffer(m, dtype="<i4").reshape(-1, 2).tolist()]
                     yield emit(found)
-                else:
-                    held.extend(_records(blob, unpack))
+                    continue
+                records = list(_records(blob, unpack))
+                size += sum(len(r[3]) for r in records)
+                if size <= limit:
+                    held.extend(records)
+                else:  # also what is held already
+                    yield from pass_on(held)
+                    yield from pass_on(records)
+                    held = []
         if held and (found := _duplicate_windows(held, window)):
             yield emit(found)
 
@@ -259,17 +289,24 @@ def _rewrite(window: int):
     return run
 
 
-def remove_repeats(docs: DataFrame, window: int = WINDOW, buckets: int | None = None) -> DataFrame:
+def remove_repeats(docs: DataFrame, window: int = WINDOW, buckets: int | None = None, held: int = HELD) -> DataFrame:
     """``docs`` with n_words, n_removed and kept (the words that stay, joined by one space)."""
     spark = docs.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    n = buckets or 4 * parts
+    if buckets is None:
+        size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+        buckets = max(4 * parts, -(-size // BUCKET))
     names = [c for c in docs.columns if c not in ("n_words", "n_removed", "kept", "text")]
     base = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"), F.hash("text").alias("th"), "text", F.struct(*[F.col(f"`{c}`") for c in names]).alias("row")
     )
-    packed = base.select("doc_id", "th", "text").mapInArrow(_scatter(n, window), "bucket int, blob binary")
-    swept = packed.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(_sweep_buckets(window), "doc_id long, th int, marks binary")
+    packed = base.select("doc_id", "th", "text").mapInArrow(_scatter(buckets, window), "bucket int, blob binary")
+    swept = packed.repartition(parts, "bucket").sortWithinPartitions("bucket").mapInArrow(_sweep_buckets(window, held), "doc_id long, th int, marks binary, hash binary")
+    swept = materialize(swept, "repeats")
+    single = swept.filter("hash is not null")
+    least = single.groupBy("hash").agg(F.min("doc_id").alias("least"), F.count("*").alias("n"))
+    judged = spread_join(single, least, ["hash"], "n", single.count()).filter("doc_id > least")
+    swept = swept.filter("hash is null").select("doc_id", "th", "marks").union(judged.select("doc_id", "th", "marks"))
     row = base.schema["row"].dataType
     marks = swept.select("doc_id", "th", F.lit(0).alias("kind"), "marks", F.lit(None).cast("string").alias("text"), F.lit(None).cast(row).alias("row"))
     texts = base.select("doc_id", "th", F.lit(1).alias("kind"), F.lit(None).cast("binary").alias("marks"), "text", "row")
