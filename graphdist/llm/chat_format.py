@@ -5,14 +5,16 @@ message of role ``tool``, or with a text ``{"tool_call_id", "content"}``, carrie
 plain text. Calls and results meet in a hash join on (conversation, call id).
 
 Order: a result comes after its call, and a message after the results its arguments name (``"$ref:ID"``); otherwise turns
-stand in their order. Each message gets the key (latest turn it must follow, depth), found by rounds of joins that
-end when nothing moves; messages on a cycle fall back to their turn and are marked.
+stand in their order. Each message gets the key (latest turn it must follow, depth) by peeling the reference graph: what waits
+for nothing is settled first. A component of that graph (not a conversation) of up to ``LOCAL`` references is peeled in one task; larger ones
+are peeled by rounds of joins, as many as they are deep. Messages on a cycle keep their turn and are marked; what only follows a cycle is
+ordered after it and not marked (in components peeled by joins, messages between two cycles are marked, too).
 
 Arguments are checked against the schema of their tool (object types, required, properties, enum). Every message is
 written as canonical JSON: sorted keys, no blanks, UTF-8.
 
 Defined cases: the text NULL is content null; text that is no such JSON object is plain content; a repeated call id keeps
-the first call (smallest turn) as the link and marks the others; a result without call is an orphan; repeated rows stay; a
+the first call (smallest turn) as the link and n_repeated counts the calls of a message that are not the first of their id; a result without call is an orphan; repeated rows stay; a
 NULL conv_id is a conversation of its own; empty tables give empty tables; other columns are dropped.
 """
 
@@ -20,12 +22,15 @@ from __future__ import annotations
 
 import json
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F, types as T
 
-from graphdist.runtime import materialize
+from graphdist.llm.arrow_io import slices, tidy
+from graphdist.operators.components import connected_components
+from graphdist.runtime import discard, materialize
 
-MAX_ROUNDS = 64
+LOCAL, SLICE = 100_000, 8 << 20
 #: Tools known to the production query: argument schemas by name.
 TOOLS = {
     "search": {"type": "object", "required": ["query"], "properties": {"query": {"type": "string"}, "limit": {"type": "integer"}}},
@@ -110,8 +115,9 @@ _READ = T.StructType([
 
 
 def read_messages(messages: DataFrame, tools: dict = TOOLS) -> DataFrame:
+    @tidy
     def run(batches):
-        for b in batches:
+        for b in (part for whole in batches for part in slices(whole, "text", SLICE)):
             found = [read_message(r, t, tools) for r, t in zip(b.column(2).to_pylist(), b.column(3).to_pylist())]
             yield pa.RecordBatch.from_arrays(
                 [
@@ -126,52 +132,137 @@ def read_messages(messages: DataFrame, tools: dict = TOOLS) -> DataFrame:
 
 
 def format_chats(messages: DataFrame, tools: dict = TOOLS) -> DataFrame:
-    """One row a message: conv_id, position (from 0 in its conversation), turn, role, json, n_calls, n_invalid, linked, orphan, cyclic."""
+    """One row a message: conv_id, position (from 0 in its conversation), turn, role, json, n_calls, n_invalid, n_repeated, linked, orphan, cyclic."""
     read = read_messages(messages, tools).withColumn("mid", F.xxhash64("conv_id", "turn", "role", "json"))
     read = materialize(read, "chat")
     calls = read.select("conv_id", "turn", "mid", F.explode("calls").alias("call"))
     first = calls.groupBy("conv_id", "call").agg(F.min(F.struct("turn", "mid")).alias("c")).select("conv_id", "call", F.col("c.mid").alias("from_mid"))
     results = read.filter("answers is not null").select("conv_id", F.col("answers").alias("call"), "mid", "turn")
     match = lambda a, b: a["conv_id"].eqNullSafe(b["conv_id"]) & (a["call"] == b["call"])
-    linked = results.join(first, match(results, first), "left").select(results["mid"].alias("mid"), "from_mid").distinct()
+    linked = results.join(first.hint("shuffle_hash"), match(results, first), "left").select(results["mid"].alias("mid"), "from_mid").distinct()
     needs = read.select("conv_id", "mid", F.explode("needs").alias("call"))
     answered = results.groupBy("conv_id", "call").agg(F.min(F.struct("turn", "mid")).alias("r")).select("conv_id", "call", F.col("r.mid").alias("from_mid"))
-    wanted = needs.join(answered, match(needs, answered)).select(needs["mid"].alias("mid"), "from_mid")
-    after = materialize(linked.filter("from_mid is not null").union(wanted).filter("mid != from_mid").distinct(), "chat-after")
-    keys, cyclic = _order(read, after)
-    out = read.join(linked.withColumn("has_link", F.lit(True)), "mid", "left")
-    if keys is not None:
-        out = out.join(keys, "mid", "left")
-    else:
-        out = out.withColumn("late", F.lit(None).cast("long")).withColumn("depth", F.lit(None).cast("int"))
-    out = out.withColumn("cyclic", F.coalesce(F.col("depth") > cyclic, F.lit(False)))
-    late = F.when(F.col("cyclic"), F.col("turn")).otherwise(F.coalesce("late", "turn"))
-    depth = F.when(F.col("cyclic"), 0).otherwise(F.coalesce("depth", F.lit(0)))
-    w = Window.partitionBy("conv_id").orderBy(late.asc_nulls_last(), depth, "turn", "mid")
+    wanted = needs.join(answered.hint("shuffle_hash"), match(needs, answered)).select(needs["mid"].alias("mid"), "from_mid")
+    after = materialize(linked.filter("from_mid is not null").union(wanted).distinct(), "chat-after")
+    named = first.select(F.col("conv_id").alias("conv"), F.col("call").alias("id"), "from_mid")
+    other = calls.join(named.hint("shuffle_hash"), F.col("conv_id").eqNullSafe(F.col("conv")) & (F.col("call") == F.col("id"))).filter("mid != from_mid")
+    repeats = other.groupBy("mid").agg(F.count_distinct("call").alias("n_repeated"))
+    keys = _order(read, after)
+    out = read.join(linked.withColumn("has_link", F.lit(True)), "mid", "left").join(keys, "mid", "left").join(repeats, "mid", "left")
+    out = out.withColumn("cyclic", F.coalesce("cyclic", F.lit(False)))
+    w = Window.partitionBy("conv_id").orderBy(F.coalesce("late", "turn").asc_nulls_last(), F.coalesce("depth", F.lit(0)), "turn", "mid")
     return out.select(
         "conv_id", (F.row_number().over(w) - 1).cast("long").alias("position"), "turn", "role", "json", F.size("calls").cast("long").alias("n_calls"),
-        F.col("n_invalid").cast("long").alias("n_invalid"), F.col("from_mid").isNotNull().alias("linked"),
+        F.col("n_invalid").cast("long").alias("n_invalid"), F.coalesce("n_repeated", F.lit(0)).cast("long").alias("n_repeated"), F.col("from_mid").isNotNull().alias("linked"),
         (F.col("answers").isNotNull() & F.col("from_mid").isNull()).alias("orphan"), "cyclic",
     )
 
 
-def _order(read: DataFrame, after: DataFrame):
-    """(mid, late, depth) for messages that must follow others, and the depth beyond which they are on a cycle."""
-    if after.isEmpty():
-        return None, MAX_ROUNDS
-    ends = after.select("mid").union(after.select(F.col("from_mid").alias("mid"))).distinct()
-    state = materialize(read.select("mid", "turn").join(ends, "mid", "left_semi").groupBy("mid").agg(F.min("turn").alias("late")).withColumn("depth", F.lit(0)), "chat-order")
-    for _ in range(MAX_ROUNDS + 1):
-        ahead = after.join(state.select(F.col("mid").alias("from_mid"), F.col("late").alias("l"), F.col("depth").alias("d")), "from_mid")
-        ahead = ahead.groupBy("mid").agg(F.max(F.struct("l", "d")).alias("m"))
-        moved = state.join(ahead, "mid", "left").select(
-            "mid", "late", "depth", F.greatest(F.struct("late", "depth"), F.struct(F.col("m.l").alias("late"), (F.col("m.d") + 1).alias("depth"))).alias("g")
-        )
-        new = materialize(moved.select("mid", F.coalesce("g.late", "late").alias("late"), F.coalesce("g.depth", "depth").cast("int").alias("depth"), (F.coalesce("g.late", "late") != F.col("late")).alias("a"), (F.coalesce("g.depth", "depth") != F.col("depth")).alias("b")), "chat-order")
-        state = new.select("mid", "late", "depth")
-        if new.filter("a or b").isEmpty():
+def order_messages(turns: dict, before: list[tuple]) -> dict:
+    """mid -> (late, depth, cyclic) for messages with their turns (None sorts last), given (mid, mid it must follow) pairs."""
+    big = max((t for t in turns.values() if t is not None), default=0) + 1
+    own = {m: big if t is None else t for m, t in turns.items()}
+    into: dict = {m: set() for m in own}
+    out: dict = {m: set() for m in own}
+    for m, f in before:
+        into[m].add(f)
+        out[f].add(m)
+    found = {}
+    for group in _strong(own, out):
+        ring = len(group) > 1 or group[0] in out[group[0]]
+        for m in group:  # groups come with all they follow before them
+            if ring:
+                found[m] = (own[m], 0, True)
+            else:
+                found[m] = max([(own[m], 0), *((found[f][0], found[f][1] + 1) for f in into[m])]) + (False,)
+    return {m: (None if late == big else late, depth, ring) for m, (late, depth, ring) in found.items()}
+
+
+def _strong(nodes, out) -> list[list]:
+    """Strongly connected groups in topological order, without recursion."""
+    index, low, on, stack, groups = {}, {}, set(), [], []
+    for root in sorted(nodes):
+        if root in index:
+            continue
+        work = [(root, iter(sorted(out[root])))]
+        index[root] = low[root] = len(index)
+        stack.append(root)
+        on.add(root)
+        while work:
+            v, rest = work[-1]
+            for w in rest:
+                if w not in index:
+                    index[w] = low[w] = len(index)
+                    stack.append(w)
+                    on.add(w)
+                    work.append((w, iter(sorted(out[w]))))
+                    break
+                if w in on:
+                    low[v] = min(low[v], index[w])
+            else:
+                work.pop()
+                if work:
+                    low[work[-1][0]] = min(low[work[-1][0]], low[v])
+                if low[v] == index[v]:
+                    group = []
+                    while True:
+                        w = stack.pop()
+                        on.discard(w)
+                        group.append(w)
+                        if w == v:
+                            break
+                    groups.append(group)
+    return groups[::-1]
+
+
+def _local(frame: pd.DataFrame) -> pd.DataFrame:
+    turns = {}
+    for ids, ts in (("mid", "turn"), ("from_mid", "from_turn")):
+        turns.update({int(m): None if pd.isna(t) else int(t) for m, t in zip(frame[ids], frame[ts])})
+    found = order_messages(turns, list(zip(frame["mid"].tolist(), frame["from_mid"].tolist())))
+    return pd.DataFrame([(m, *v) for m, v in found.items()], columns=["mid", "late", "depth", "cyclic"]).astype({"late": "Int64"})
+
+
+def _order(read: DataFrame, after: DataFrame, local: int = LOCAL) -> DataFrame:
+    """(mid, late, depth, cyclic) for messages that must follow others or are followed."""
+    turns = read.select("mid", "turn").distinct()
+    comp = connected_components(after.select(F.col("mid").alias("a"), F.col("from_mid").alias("b")))
+    named = after.join(comp, after["mid"] == comp["id"], "left").select("mid", "from_mid", F.coalesce("component", "mid").alias("c"))
+    sizes = named.groupBy("c").agg((F.count("*") > local).alias("large"))
+    full = named.join(turns, "mid").join(turns.select(F.col("mid").alias("from_mid"), F.col("turn").alias("from_turn")), "from_mid").join(sizes, "c")
+    full = materialize(full, "chat-order")
+    small = full.filter("not large").groupBy("c").applyInPandas(_local, "mid long, late long, depth int, cyclic boolean")
+    return small.union(_peel(full.filter("large").select("mid", "from_mid", "turn", "from_turn")))
+
+
+def _peel(edges: DataFrame) -> DataFrame:
+    """The same for components too large for one task, by rounds of joins."""
+    ends = edges.select("mid", "turn").union(edges.select("from_mid", "from_turn")).groupBy("mid").agg(F.min("turn").alias("late"))
+    top = 2**62
+    state = materialize(ends.select("mid", F.coalesce("late", F.lit(top)).alias("own"), F.struct(F.coalesce("late", F.lit(top)).alias("late"), F.lit(0).alias("depth")).alias("key")), "chat-order")
+    left = materialize(edges.select("mid", "from_mid"), "chat-order")
+    done = state.limit(0)
+    while not state.isEmpty():
+        ready = materialize(state.join(left.select("mid").distinct(), "mid", "left_anti"), "chat-order")
+        if ready.isEmpty():
+            break
+        raised = left.join(ready.select(F.col("mid").alias("from_mid"), "key"), "from_mid").groupBy("mid").agg(F.max(F.struct("key.late", (F.col("key.depth") + 1).alias("depth"))).alias("r"))
+        rest = state.join(ready.select("mid"), "mid", "left_anti").join(raised, "mid", "left")
+        new_state = materialize(rest.select("mid", "own", F.greatest("key", F.coalesce("r", "key")).alias("key")), "chat-order")
+        new_left = materialize(left.join(ready.select(F.col("mid").alias("from_mid")), "from_mid", "left_anti").select("mid", "from_mid"), "chat-order")
+        discard(state, left)
+        state, left, done = new_state, new_left, done.union(ready)
+    while not state.isEmpty():  # what nothing waits for is no part of a cycle
+        inner = left.select(F.col("from_mid").alias("mid")).distinct()
+        free = materialize(state.join(inner, "mid", "left_anti"), "chat-order")
+        if free.isEmpty():
             break
-    return state, MAX_ROUNDS
+        done = done.union(free.withColumn("key", F.struct(F.greatest("own", "key.late").alias("late"), (F.col("key.depth") + 1).alias("depth"))))
+        new_state = materialize(state.join(free.select("mid"), "mid", "left_anti"), "chat-order")
+        new_left = materialize(left.join(free.select("mid"), "mid", "left_anti"), "chat-order")
+        state, left = new_state, new_left
+    settled = done.select("mid", F.nullif("key.late", F.lit(top)).alias("late"), F.col("key.depth").cast("int").alias("depth"), F.lit(False).alias("cyclic"))
+    return settled.union(state.select("mid", F.nullif("own", F.lit(top)).alias("late"), F.lit(0).alias("depth"), F.lit(True).alias("cyclic")))
 
 
 def op4_chat_format(spark, sf_dir):
