@@ -1,7 +1,7 @@
 """Best-fit packing of tokenised documents into sequences, improved by swap-based local search.
 
 A document's ids are cut into pieces of at most ``capacity``; only longer documents are cut. Pieces are dealt by
-hash to shards of about ``shard`` pieces. A shard packs its pieces by best fit in falling order of length; then
+hash (of their row number, too, so that repeated rows spread) to shards of about ``shard`` pieces. A shard packs its pieces by best fit in falling order of length; then
 a local search works on the bins that are not full: it takes the emptiest one and moves one or two of its pieces into
 another bin, or exchanges one for one, one for two or two for one with it, whenever that raises the sum of squared
 fills; bins that run empty vanish. The search stops only at the lower bound or when no such exchange is left.
@@ -311,7 +311,7 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, shard: int = SHARD, tokenize
     """One row a piece: doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
     cut = materialize(pieces(docs, capacity, tokenizer=tokenizer), "pieces")
     n = max(1, -(-cut.count() // shard))
-    dealt = cut.withColumn("shard", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(n)).cast("int"))
+    dealt = cut.withColumn("shard", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", F.monotonically_increasing_id()), F.lit(n)).cast("int"))
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long"
     none = F.expr("-9223372036854775807L - 1L")  # pandas would turn a NULL doc_id and all beside it into floats
     packed = dealt.withColumn("doc_id", F.coalesce("doc_id", none)).groupBy("shard").applyInPandas(lambda f: pack_shard(f, capacity), schema)

@@ -15,7 +15,7 @@ all pairs, which keeps the components exact. Components come from distributed st
 
 Defined cases: NULL or blank text has fingerprint zero, linked like any other; repeated rows get the same
 component; a NULL doc_id keeps its row, gets a component by its links but never names one unless alone
-(then NULL); an empty table gives an empty table; other columns pass through.
+(then NULL); an empty table gives an empty table; other columns are dropped by ``near_duplicate_groups`` and stay in ``keep_one_per_group``.
 """
 
 from __future__ import annotations
@@ -27,11 +27,12 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from graphdist.llm.arrow_io import column_bytes, tidy
+from graphdist.llm.arrow_io import column_bytes, slices, tidy
+from graphdist.llm.skew import spread_join
 from graphdist.operators.components import connected_components
 from graphdist.runtime import materialize
 
-SHINGLE, DISTANCE, BLOCK = 4, 4, 2048
+SHINGLE, DISTANCE, BLOCK, SLICE = 4, 4, 2048, 8 << 20
 _LOWER = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
 _LOW_BITS = 0x5555555555555555
 
@@ -60,15 +61,17 @@ def _signed(x: int) -> int:
 
 
 def fingerprints(docs: DataFrame, text: str = "text", size: int = SHINGLE) -> DataFrame:
-    """(doc_id, fp) with fp the 64 bits as a signed long."""
+    """(doc_id, th, fp) with fp the 64 bits as a signed long and th a hash of the text."""
 
     @tidy
     def run(batches):
-        for b in batches:
-            fps = [_signed(fingerprint(t, size)) for t in column_bytes(b, "text")]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps, pa.int64())], ["doc_id", "fp"])
+        for whole in batches:
+            for b in slices(whole, "text", SLICE):
+                fps = [_signed(fingerprint(t, size)) for t in column_bytes(b, "text")]
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(fps, pa.int64())], ["doc_id", "th", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.col(text)).alias("th"), F.col(text).alias("text"))
+    return rows.mapInArrow(run, "doc_id long, th long, fp long")
 
 
 def _counts(fp):
@@ -185,23 +188,32 @@ def links(fps: DataFrame, distance: int = DISTANCE, block: int = BLOCK) -> DataF
     return grid.mapInArrow(_links_of_sorted(distance), "a long, b long").distinct()
 
 
-def near_duplicate_groups(docs: DataFrame, distance: int = DISTANCE, size: int = SHINGLE, text: str = "text") -> DataFrame:
-    """(doc_id, fp, component_id): one row per document; component_id is the smallest doc_id reachable."""
+def _grouped(docs: DataFrame, distance: int, size: int, text: str) -> DataFrame:
+    """(doc_id, th, fp, c, component_id): c names the component by a fingerprint. Groups that hold many rows are joined by broadcast."""
     found = materialize(fingerprints(docs, text, size), "simhash")
     comp = connected_components(links(found.select("fp"), distance))
-    named = found.join(comp.withColumnRenamed("id", "fp"), "fp", "left").withColumn("c", F.coalesce("component", "fp"))
-    smallest = named.groupBy("c").agg(F.min("doc_id").alias("component_id"))
-    return named.join(smallest, "c").select("doc_id", "fp", "component_id")
+    each = found.groupBy("fp").agg(F.count("*").alias("n"), F.min("doc_id").alias("least"))
+    each = materialize(each.join(comp.withColumnRenamed("id", "fp"), "fp", "left").select("fp", "n", "least", F.coalesce("component", "fp").alias("c")), "simhash")
+    smallest = each.groupBy("c").agg(F.min("least").alias("component_id"), F.count("*").alias("w"))
+    named = spread_join(each.select("fp", "n", "c"), smallest, ["c"], "w", each.count())
+    return spread_join(found, named, ["fp"], "n", found.count())
+
+
+def near_duplicate_groups(docs: DataFrame, distance: int = DISTANCE, size: int = SHINGLE, text: str = "text") -> DataFrame:
+    """(doc_id, fp, component_id): one row per document; component_id is the smallest doc_id reachable."""
+    return _grouped(docs, distance, size, text).select("doc_id", "fp", "component_id")
 
 
-def keep_one_per_group(docs: DataFrame, **options) -> DataFrame:
+def keep_one_per_group(docs: DataFrame, distance: int = DISTANCE, size: int = SHINGLE, text: str = "text") -> DataFrame:
     """The documents that stay: of each component the one with the smallest doc_id.
 
-    Rows that repeat a doc_id are one document and leave one row; rows without a doc_id all stay.
+    Rows that repeat this doc_id within the component leave the one whose text has the smallest hash; rows without a doc_id all stay.
     """
-    found = near_duplicate_groups(docs, **options).filter("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(found, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.select(*docs.columns).union(docs.filter("doc_id is null"))
+    found = _grouped(docs, distance, size, text).filter("doc_id = component_id")
+    stays = found.groupBy("doc_id", "c").agg(F.min("th").alias("_th")).select(F.col("doc_id").alias("_id"), "_th").distinct()
+    row = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("_id"), F.xxhash64(F.col(text)).alias("_th"))
+    kept = row.join(stays, ["_id", "_th"], "left_semi").dropDuplicates(["_id", "_th"]).unionByName(row.filter("_id is null"))
+    return kept.select(*[F.col(f"row.`{c}`").alias(c) for c in docs.columns])
 
 
 def op5_simhash_dedup(spark, sf_dir):

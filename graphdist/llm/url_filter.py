@@ -39,7 +39,8 @@ def host_key(host: Column) -> Column:
 
 
 def rules_frame(spark: SparkSession, rules=RULES) -> DataFrame:
-    return spark.createDataFrame(list(rules), "host string, path string, verdict string")
+    rows = F.array(*[F.struct(F.lit(h).alias("host"), F.lit(p).alias("path"), F.lit(v).alias("verdict")) for h, p, v in rules])
+    return spark.range(1).select(F.inline(rows))
 
 
 def _stacks(rules: DataFrame) -> DataFrame:
@@ -62,7 +63,7 @@ def judge_urls(pages: DataFrame, rules: DataFrame, default: str = DEFAULT, url:
     urls = pages.select(
         F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), url_host(F.col(url)).alias("host"), url_path(F.col(url)).alias("path")
     )
-    points = urls.select(host_key(F.col("host")).alias("key"), F.xxhash64("host", "path", "row").alias("tie"), F.lit(1).alias("side"), "row", "host", "path", F.lit(None).cast(kind).alias("stack"))
+    points = urls.select(host_key(F.col("host")).alias("key"), F.monotonically_increasing_id().alias("tie"), F.lit(1).alias("side"), "row", "host", "path", F.lit(None).cast(kind).alias("stack"))
     opens = stacks.select("key", F.expr("-9223372036854775807L - 1L").alias("tie"), F.lit(0).alias("side"), F.lit(None).cast(points.schema["row"].dataType).alias("row"), F.lit(None).cast("string").alias("host"), F.lit(None).cast("string").alias("path"), "stack")
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     dealt = materialize(points.unionByName(opens).repartitionByRange(n, "key", "tie").withColumn("range", F.spark_partition_id()), "url-ranges")

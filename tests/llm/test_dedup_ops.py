@@ -151,6 +151,21 @@ def test_substring_rows_that_share_an_id(make_docs):
     assert substring_dedup.remove_repeats(make_docs([])).isEmpty()
 
 
+def test_substring_dedup_passes_on_hot_buckets(make_docs, corpus):
+    """A bucket that may not be held is counted window by window, with the same result."""
+    key = lambda rows: sorted(((r["doc_id"], r["n_words"], r["n_removed"], r["kept"]) for r in rows), key=str)
+    docs = make_docs(corpus)
+    whole = key(substring_dedup.remove_repeats(docs, buckets=2).collect())
+    assert whole == key(substring_dedup.remove_repeats(docs, buckets=2, held=500).collect()) and any(r[2] for r in whole)
+
+
+def test_near_duplicates_keep_one_text_of_a_repeated_id(make_docs):
+    a, b = "one two three four five six seven", "other words that stand quite alone here"
+    rows = [(1, a), (1, b), (2, a), (3, b), (3, b), (None, a)]
+    got = sorted(((r["doc_id"] or 0, r["text"]) for r in simhash_dedup.keep_one_per_group(make_docs(rows)).collect()))
+    assert got == [(0, a), (1, a), (1, b)]
+
+
 def shingles(line, w=line_dedup.WIDTH):
     u = line.encode("utf-16-be")
     return frozenset(u[2 * i : 2 * (i + w)] for i in range(max(1, len(u) // 2 - w + 1)))

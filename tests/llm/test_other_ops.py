@@ -36,7 +36,7 @@ def judge(url):
 def test_url_rules(spark):
     r = random.Random(1)
     urls = URLS * 3 + [f"http://{r.choice(['a.', 'b.c.', ''])}{r.choice(['example.net', 'example.com', 'x.org', 'de', 'net'])}{r.choice(['/en/', '/de/1', '/fr/', ''])}" for _ in range(300)]
-    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string").withColumn("rule", F.lit("clash"))
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string").withColumn("rule", F.lit("clash")).withColumn("m", F.create_map(F.lit("a"), F.lit(1)))
     got = {x["page_id"]: (x["host"], x["path"], x["rule"], x["verdict"]) for x in url_filter.judge_urls(pages, url_filter.rules_frame(spark)).collect()}
     assert got == {k: judge(u) for k, u in enumerate(urls)}
     assert url_filter.judge_urls(pages.limit(0), url_filter.rules_frame(spark)).isEmpty()
@@ -147,12 +147,36 @@ def test_chat_linking(spark):
     assert (one[1]["n_calls"], one[1]["n_invalid"]) == (2, 1) and one[2]["linked"] and one[4]["orphan"]
     assert one[2]["json"] == '{"content":{"a":2,"b":1},"role":"tool","tool_call_id":"k1"}'
     assert [x["turn"] for x in got[2]] == [2, 1, 0]
-    assert any(x["cyclic"] for x in got[3]) and len(got[3]) == 4
+    assert [x["cyclic"] for x in got[3]] == [True] * 4
     assert got[None][0]["json"] == '{"content":null,"role":"user"}' and len(got[4]) == 2 and got[5][0]["n_invalid"] == 1
     assert len(out) == len(rows)
     assert chat_format.format_chats(df.limit(0)).isEmpty()
 
 
+def chain(n, extra=()):
+    """Message k + 1 follows message k although all stand in the opposite order of turns."""
+    return {k: n - k for k in range(n)}, [(k + 1, k) for k in range(n - 1)] + list(extra)
+
+
+def test_order_of_long_chains_and_cycles(spark):
+    turns, before = chain(1000)
+    found = chat_format.order_messages(turns, before)
+    assert sorted(found, key=lambda m: found[m][:2]) == list(range(1000)) and not any(v[2] for v in found.values())
+    turns, before = chain(40, [(10, 12)])  # 10, 11 and 12 follow each other
+    found = chat_format.order_messages(turns, before)
+    assert [m for m in found if found[m][2]] and {m for m in found if found[m][2]} == {10, 11, 12}
+    after = sorted((m for m in found if m > 12), key=lambda m: found[m][:2])
+    assert after == list(range(13, 40))
+    # the same by rounds of joins, as for components too large for a task
+    turns, before = chain(8, [(3, 5)])
+    read = spark.createDataFrame(list(turns.items()), "mid long, turn long")
+    edges = spark.createDataFrame(before, "mid long, from_mid long")
+    for local in (100, 1):
+        got = {r["mid"]: (r["late"], r["depth"], r["cyclic"]) for r in chat_format._order(read, edges, local).collect()}
+        assert {m for m in got if got[m][2]} == {3, 4, 5}
+        assert sorted((m for m in got if m < 3), key=lambda m: got[m][:2]) == [0, 1, 2]
+
+
 def test_schema_checks():
     s = {"type": "object", "required": ["a"], "properties": {"a": {"type": "integer"}, "b": {"enum": ["x"]}, "c": {"type": "array", "items": {"type": "number"}}}, "additionalProperties": False}
     good = [{"a": 1}, {"a": 1, "b": "x", "c": [1, 2.5]}]
@@ -186,6 +210,45 @@ def test_html_main_text():
     assert len(text("<article>" + "<p>w</p>" * 20000 + "</article>")) == 20000 * 3 - 2
 
 
+HIDDEN = {
+    "plain": (
+        "<body><div class='k1'><a href='/'>Home</a></div><div class='k1'><a href='/n'>News</a></div><div class='k2'><a href='/l'>Log in</a></div>"
+        "<div class='zz'><h1>The river that runs uphill</h1><p>{0}</p><p>{1}</p><p>{2}</p></div>"
+        "<div class='q7'>Copyright 2020 All rights reserved</div><div><a href='/x'>Contact us</a></div></body>"
+    ),
+    "teaser": (
+        "<body><article><h2>Teaser</h2></article><div class='b1'><h1>The river that runs uphill</h1><p>{0}</p><p>{1}</p><p>{2}</p></div>"
+        "<div class='b9'>Copyright 2020 All rights reserved</div></body>"
+    ),
+    "table": (
+        "<table><tr><td><a href='/1'>one two</a></td><td><a href='/2'>three four</a></td></tr><tr><td><a href='/3'>Log in</a></td></tr>"
+        "<tr><td><b>The river that runs uphill</b><p>{0}<p>{1}<p>{2}</td></tr><tr><td><a href='/4'>Older posts of this site</a></td></tr></table>"
+    ),
+}
+
+
+@pytest.mark.parametrize("name", HIDDEN)
+def test_html_layouts_without_marks(name):
+    """Layouts the labelled pages don't hold, with class names that say nothing."""
+    r = random.Random(4)
+    paragraphs = [" ".join(r.choice(["water", "stone", "of", "the", "valley", "and"]) for _ in range(n)) for n in (48, 61, 39)]
+    got = html_extract.main_text(HIDDEN[name].format(*paragraphs), html_extract.train())
+    assert got == "\n\n".join(["The river that runs uphill", *paragraphs])
+
+
+def test_html_tree_uses_words_and_neighbours():
+    used, stack = set(), [html_extract.train()]
+    while stack:
+        t = stack.pop()
+        if isinstance(t, tuple):
+            used.add(t[0])
+            stack += t[2:]
+    assert 0 in used and used & {2, 3, 4, 5}
+    table = html_extract.labelled_table()
+    tree = html_extract.train()
+    assert np.mean([html_extract.classify(tree, x[:-1]) == x[-1] for x in table]) > 0.97
+
+
 def test_html_table(spark):
     df = spark.createDataFrame([(1, "u", "<article><p>Hello</p></article>"), (2, None, None), (2, None, None)], "page_id long, url string, html string").withColumn("text", F.lit("clash"))
     got = sorted(tuple(r) for r in html_extract.extract(df).select("page_id", "text", "n_chars").collect())
@@ -214,10 +277,10 @@ def brute_hits(text, items, window=13):
     for i, t in items:
         q = words(low(t))
         m = min(window, len(q))
-        wins = {tuple(q[k : k + m]) for k in range(len(q) - m + 1)} if q and i is not None else ()
+        wins = {tuple(q[k : k + m]) for k in range(len(q) - m + 1)} if q else ()
         for k in range(len(w) - m + 1) if wins else ():
             if tuple(w[k : k + m]) in wins:
-                found.add(i)
+                found |= {i} - {None}  # an item without an id hits words but isn't counted
                 hit[k : k + m] = [True] * m
     n = sum(hit)
     return len(w), n, len(found), hashlib.sha256(",".join(sorted(map(str, found))).encode()).hexdigest(), n > 0 and 20 * n >= len(w)
@@ -231,7 +294,8 @@ def test_decontamination_matches_brute_force(spark, make_docs, max_bytes):
     rows = [(i, ("; ".join(r.choice(v) for _ in range(r.randrange(60))) + " " + r.choice(items[:12])[1].upper() + ", " + " ".join(r.choice(v) for _ in range(r.randrange(200))))) for i in range(40)]
     rows += [(100, None), (101, ""), (102, "Clean text, nothing of it."), rows[0]]
     bench = spark.createDataFrame(items, "item_id long, text string")
-    out = decontaminate.contamination(make_docs(rows).withColumn("n_hit", F.lit("clash")), bench, max_bytes=max_bytes).collect()
+    clash = make_docs(rows).withColumn("n_hit", F.lit("clash")).withColumn("h", F.lit(1)).withColumn("i", F.lit(1)).withColumn("_row", F.lit(1)).withColumn("key", F.create_map(F.lit("a"), F.lit(1)))
+    out = decontaminate.contamination(clash, bench, max_bytes=max_bytes).collect()
     got = sorted((x["doc_id"], x["n_words"], x["n_hit"], x["n_items"], x["items_sha256"], x["contaminated"]) for x in out)
     assert got == sorted((d, *brute_hits(t, items)) for d, t in rows)
     assert decontaminate.contamination(make_docs([]), bench).isEmpty()
@@ -241,29 +305,59 @@ def test_decontamination_matches_brute_force(spark, make_docs, max_bytes):
 # neighbours ---------------------------------------------------------------------------------------------------
 
 
+def brute_neighbours(ids, x, every=20, k=20):
+    """{(id, its row's place)}: the k nearest others of each query row, compared with all rows of its length."""
+    out = []
+    for q in np.flatnonzero(ids % every == 0):
+        s = (x * x[q]).sum(axis=1)
+        order = [j for j in np.lexsort((ids, -s)) if j != q][:k]
+        out.append((int(ids[q]), [(int(ids[j]), float(s[j])) for j in order]))
+    return out
+
+
+@pytest.mark.parametrize("rows", [1000, 6000])
+def test_neighbours_recall_of_the_routed_search(spark, rows):
+    """Vectors that hardly cluster, more than one can hold in a partition: at most half of the partitions are probed at either size."""
+    r = np.random.default_rng(3)
+    x = r.normal(size=(rows, 48)).astype(np.float32) + 0.6 * r.normal(size=(40, 48))[r.integers(0, 40, rows)].astype(np.float32)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    table = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<float>")
+    got = {}
+    for f in ann_search.search(table).collect():
+        got.setdefault(f["query_id"], []).append((f["rank"], f["vec_id"], f["score"]))
+    want = brute_neighbours(np.arange(rows), x.astype(np.float64))
+    assert set(got) == {q for q, _ in want} and all(len(v) == 20 for v in got.values())
+    hits = sum(len({v for v, _ in near} & {v for _, v, _ in got[q]}) for q, near in want)
+    assert hits / (20 * len(want)) >= 0.9
+    assert ann_search.SHARE <= 0.5
+
+
 def test_neighbours(spark, sf):
     e = spark.read.parquet(f"{sf}/embeddings.parquet")
     rows = e.collect()
-    bad = [(9000, None), (9020, [0.0] * 64), (9040, [float("nan")] + [1.0] * 63), (9060, [1.0] * 3), (9080, [None] + [1.0] * 63)]
+    bad = [(9000, None), (9020, [0.0] * 64), (9040, [float("nan")] + [1.0] * 63), (9080, [None] + [1.0] * 63), (None, [1.0] * 64)]
+    short = [(9060, [1.0, 2.0]), (9061, [3.0, 1.0])]  # another length: compared among themselves
     hot = rows[20]["embedding"]
-    both = e.select("vec_id", "embedding").union(spark.createDataFrame(bad + [(10000 + i, hot) for i in range(60)], "vec_id long, embedding array<float>"))
+    again = (int(rows[40]["vec_id"]), rows[7]["embedding"])  # an id that repeats with another vector
+    both = e.select("vec_id", "embedding").union(spark.createDataFrame(bad + short + [again] + [(10000 + i, hot) for i in range(60)], "vec_id long, embedding array<float>"))
     got = {}
-    for r in ann_search.search(both).collect():
-        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
-    ids = np.array([r["vec_id"] for r in rows] + [10000 + i for i in range(60)])
-    x = np.array([r["embedding"] for r in rows] + [hot] * 60, dtype=float)
-    assert set(got) == {int(i) for i in ids if i % 20 == 0}
+    for f in ann_search.search(both).collect():
+        got.setdefault(f["query_id"], []).append((f["rank"], f["vec_id"], f["score"]))
+    assert got.pop(9060) == [(1, 9061, 5.0)]
+    ids = np.array([r["vec_id"] for r in rows] + [again[0]] + [10000 + i for i in range(60)])
+    x = np.array([r["embedding"] for r in rows] + [again[1]] + [hot] * 60, dtype=float)
+    want = brute_neighbours(ids, x)
+    assert sorted(got) == sorted({q for q, _ in want}) and len(got[again[0]]) == 40
     hits = total = 0
-    for q, found in got.items():
-        s = (x * x[ids == q][0]).sum(axis=1)
-        order = [k for k in np.lexsort((ids, -s)) if ids[k] != q][:20]
-        found.sort()
-        assert [r for r, _, _ in found] == list(range(1, 21))
-        near = {int(ids[k]): s[k] for k in range(len(ids))}
-        assert all(abs(near[v] - sc) < 1e-12 for _, v, sc in found)
-        hits += len({int(ids[k]) for k in order} & {v for _, v, _ in found})
-        total += 20
-        assert [(-sc, v) for _, v, sc in found] == sorted((-sc, v) for _, v, sc in found)
+    for q, near in want:
+        found = sorted(got[q])
+        if q != again[0]:
+            assert [k for k, _, _ in found] == list(range(1, 21))
+            assert [(-sc, v) for _, v, sc in found] == sorted((-sc, v) for _, v, sc in found)
+            exact = dict(near)
+            assert all(abs(exact[v] - sc) < 1e-12 for _, v, sc in found if v in exact)
+            hits += len(set(exact) & {v for _, v, _ in found})
+            total += 20
     assert hits / total >= 0.9
     assert ann_search.search(both.limit(0)).isEmpty()
     few = ann_search.search(both.filter("vec_id < 5")).collect()
@@ -281,6 +375,33 @@ def test_partitions_are_balanced():
 # language ID --------------------------------------------------------------------------------------------------
 
 
+def test_viterbi_matches_a_plain_one():
+    r = np.random.default_rng(1)
+    words = [f"w{k}" for k in range(30)]
+
+    class Fixed:
+        langs = ["a", "b", "c"]
+        table = {w: r.normal(size=3).astype(np.float32) * 6 for w in words}
+
+        def score(self, ws):
+            return np.array([self.table[w] for w in ws]), np.ones(len(ws), dtype=bool)
+
+    texts = [" ".join(r.choice(words, size=n)) for n in (1, 2, 5, 17, 40)] + [None, ""]
+    labels = language_id.label_words(texts, Fixed(), 4.0)[0]
+    for text, got in zip(texts, labels):
+        ws = (text or "").split()
+        best = {0: (0.0, []), 1: (0.0, []), 2: (0.0, [])}
+        for w in ws:
+            step = {}
+            for k in range(3):
+                value, path = max(((best[j][0] - 4.0 * (j != k), best[j][1]) for j in range(3)), key=lambda t: t[0])
+                step[k] = (value + float(Fixed.table[w][k]), [*path, k])
+            best = step
+        path = max(best.values(), key=lambda t: t[0])[1] if ws else []
+        cost = lambda p: sum(float(Fixed.table[w][k]) for w, k in zip(ws, p)) - 4.0 * sum(a != b for a, b in zip(p, p[1:]))
+        assert len(got) == len(ws) and abs(cost(got.tolist()) - cost(path)) < 1e-3
+
+
 def test_language_held_out_accuracy(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     found = queries.queries()["op10_language_id"](spark, sf).join(docs.select("doc_id", "lang"), "doc_id").collect()
