@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-import gc
 import os
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 
 def checkpoint_dir(spark: SparkSession) -> str:
     """The cluster's shared folder (``spark.checkpoint.dir``); a temporary one only where that is unset."""
@@ -17,6 +18,8 @@ def checkpoint_dir(spark: SparkSession) -> str:
     if not folder:
         folder = sc.getCheckpointDir()
     if not folder:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = tempfile.mkdtemp(prefix="graphdist-checkpoint-")
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(folder)
@@ -32,17 +35,18 @@ def cut(df: DataFrame) -> DataFrame:
 def materialize(df: DataFrame, name: str = "t") -> DataFrame:
     """Write ``df`` as Parquet below the shared checkpoint folder and read it back.
 
-    Compressed and columnar, so cheaper on disk than ``cut``; shuffle files of the finished plan are
-    released at once by asking the JVM for a collection, which triggers Spark's context cleaner.
+    Compressed and columnar, so cheaper on disk than ``cut``; the shuffle files of the finished plan are
+    deleted at its end.
     """
     spark = df.sparkSession
     path = os.path.join(checkpoint_dir(spark), f"graphdist-{name}-{uuid.uuid4().hex}")
-    df.write.parquet(path)
-    schema = df.schema
-    del df
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-    out = spark.read.schema(schema).parquet(path)
+    before = spark.conf.get(_CLEANUP)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before)
+    out = spark.read.schema(df.schema).parquet(path)
     out._graphdist_path = path
     return out
 
