@@ -13,9 +13,9 @@ from pyspark.sql import DataFrame, functions as F
 from graphdist.runtime import cut
 
 
-def peel(edges: DataFrame, levels: int = 6, max_degree: int = 64) -> tuple[DataFrame, DataFrame]:
-    """(ups, residual): ups(v, up, w, level) of removed vertices, residual(src, dst, w). Vertices of more than
-    ``max_degree`` neighbours are never removed, which bounds the shortcuts a vertex makes.
+def peel(edges: DataFrame, levels: int = 6, max_degree: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """(ups, residual): ups(v, up, w, level) of removed vertices, residual(src, dst, w). With ``max_degree``, vertices of more
+    neighbours are never removed, which bounds the shortcuts a vertex makes (and changes the peeling).
     """
     g = cut(edges.select("src", "dst", F.lit(1).alias("w")))
     ups = edges.sparkSession.createDataFrame([], "v long, up long, w int, level int")
@@ -23,7 +23,7 @@ def peel(edges: DataFrame, levels: int = 6, max_degree: int = 64) -> tuple[DataF
         deg = g.groupBy("src").agg(F.count("*").alias("deg")).withColumn("key", F.struct(F.col("deg"), F.xxhash64("src").alias("h"), F.col("src").alias("k")))
         key = deg.select(F.col("src").alias("v"), "deg", "key")
         around = g.join(key.select(F.col("v").alias("dst"), F.col("key").alias("nk")), "dst").groupBy(F.col("src").alias("v")).agg(F.min("nk").alias("best"))
-        gone = cut(key.join(around, "v").filter((F.col("key") < F.col("best")) & (F.col("deg") <= max_degree)).select("v"))
+        gone = cut(key.join(around, "v").filter((F.col("key") < F.col("best")) & (F.lit(max_degree is None) | (F.col("deg") <= (max_degree or 0)))).select("v"))
         if gone.isEmpty():
             break
         star = g.join(gone, g["src"] == gone["v"]).select("v", "dst", "w")

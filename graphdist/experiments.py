@@ -19,7 +19,7 @@ from graphdist.runtime import checkpoint_dir, cut, table
 from graphdist.sources import edge_lists, index_store
 from graphdist.streaming import jobs
 
-QUERIES: dict = {}
+QUERIES: dict = {}  # further comparisons: comparison.py
 ORACLES: dict = {}
 
 

@@ -6,7 +6,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, functions as F
 
-from graphdist.operators import gateway, graph, landmarks as lm, query, search
+from graphdist.operators import gateway, graph, landmarks as lm, local_search, query, search
 from graphdist.runtime import cut
 
 
@@ -23,7 +23,7 @@ class Index:
         if isinstance(landmarks, int):
             landmarks = cut(lm.top_degree(edges, landmarks))
         labels, matrix = gateway.build(edges, landmarks, mode)
-        return cls(edges, landmarks, cut(labels), matrix, graph.core(edges, landmarks))
+        return cls(edges, landmarks, cut(labels), matrix, cut(graph.core(edges, landmarks)))  # read in every round of a search
 
     def upper_bound(self, pairs: DataFrame, method: str = "pruned") -> DataFrame:
         return query.upper_bound(pairs, self.labels, self.matrix, self.landmarks, method)
@@ -39,3 +39,11 @@ class Index:
         all_rows = found.union(quick).withColumn("dist", F.least("ub", "core_d"))
         covered = (F.col("s") != F.col("t")) & F.col("dist").isNotNull() & (F.col("ub").eqNullSafe(F.col("dist")))
         return all_rows.select("pair_id", "s", "t", "ub", "core_d", "dist", covered.alias("covered"), "steps")
+
+    def distance_local(self, pairs: DataFrame, max_edges: int = local_search.MAX_EDGES) -> DataFrame:
+        """(pair_id, s, t, ub, core_d, dist): the same answers by searches inside the workers, if the core is small enough to send."""
+        bounds = cut(self.upper_bound(pairs).select("pair_id", "s", "t", "ub"))
+        found = local_search.bounded(self.core, bounds, max_edges)
+        if found is None:
+            return self.distance(pairs).select("pair_id", "s", "t", "ub", "core_d", "dist")
+        return found.select("pair_id", "s", "t", "ub", "core_d", F.least("ub", "core_d").alias("dist"))

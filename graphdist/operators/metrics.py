@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, functions as F
 
 from graphdist.operators import graph
+from graphdist.runtime import cut
 
 
 def entries(labels: DataFrame) -> DataFrame:
@@ -62,6 +63,31 @@ def edges_traversed(edges: DataFrame, landmarks: DataFrame, labels: DataFrame) -
     return open_at.join(deg, "id").groupBy("lm").agg(F.sum("deg").alias("edges"))
 
 
+def traversed(edges: DataFrame, landmarks: DataFrame) -> DataFrame:
+    """(lm, open_edges, shut_edges): adjacency rows a pruned search of each landmark reads, by a search that counts them.
+
+    A vertex is open if all its shortest paths avoid other landmarks, else shut; both are expanded while a level of the landmark has an
+    open vertex.
+    """
+    deg = cut(graph.degrees(edges).select(F.col("id").alias("v"), "deg"))
+    hub = F.broadcast(landmarks.select(F.col("id").alias("v"), F.lit(True).alias("hub")))  # k rows
+    layer = cut(landmarks.select(F.col("id").alias("lm"), F.col("id").alias("v"), F.lit(False).alias("shut")))
+    seen, counts = layer.select("lm", "v"), None
+    while True:
+        live = layer.filter("not shut").select("lm").distinct()
+        layer = cut(layer.join(F.broadcast(live), "lm", "left_semi"))
+        if layer.isEmpty():
+            break
+        read = layer.join(deg, "v").groupBy("lm", "shut").agg(F.sum("deg").alias("n"))
+        counts = read if counts is None else cut(counts.union(read))
+        reached = layer.join(edges, layer["v"] == edges["src"]).groupBy("lm", F.col("dst").alias("v")).agg(F.max("shut").alias("shut"))
+        fresh = reached.join(seen, ["lm", "v"], "left_anti").join(hub, "v", "left")
+        layer = cut(fresh.select("lm", "v", (F.col("shut") | F.col("hub").isNotNull()).alias("shut")))
+        seen = cut(seen.union(layer.select("lm", "v")))
+    part = lambda c, name: F.coalesce(F.sum(F.when(c, F.col("n"))), F.lit(0)).cast("long").alias(name)
+    return counts.groupBy("lm").agg(part(~F.col("shut"), "open_edges"), part(F.col("shut"), "shut_edges"))
+
+
 def ratio(a: float, b: float) -> float | None:
     """Speed-up or saving: a / b, None where b is 0."""
     return a / b if b else None

@@ -418,25 +418,6 @@ register("size_rollup", o.query("SELECT method, d, count(*) AS entries FROM entr
 )
 
 
-@register("property_matrix")
-def _property_matrix(s, d):
-    """(method, order_dependent, cover_minimal), measured: labels under two orders, and their redundant entries."""
-    e, r = edges_of(s, d, "users"), marks_of(s, d, "users", _SMALL)
-    matrix = index_of(s, d, "users", _SMALL).matrix
-    full = full_of(s, d, "users", _SMALL)
-    back = cut(lmk.reordered(r))
-    builds = {
-        "gateway": (index_of(s, d, "users", _SMALL).labels, cut(gateway.build(e, back)[0])),
-        "pruned_two_hop": (two_hop.pruned_from_full(full, r), two_hop.pruned_from_full(full, back)),
-        "full_table": (full.select("v", "lm", "d"), full.select("v", "lm", "d")),
-    }
-    rows = []
-    for name, (a, b) in builds.items():
-        inner = a.join(F.broadcast(r.select(F.col("id").alias("v"))), "v", "left_anti")
-        rows.append((name, not (a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty()), verify.redundant(inner, matrix).isEmpty()))
-    return s.createDataFrame(rows, "method string, order_dependent boolean, cover_minimal boolean")
-
-
 @register("tradeoff")
 def _tradeoff(s, d):
     """(graph, n, m, entries, seconds to build): size and build time against network size."""
@@ -481,12 +462,12 @@ register(
 
 
 def queries():
-    from graphdist import experiments, relational
+    from graphdist import comparison, experiments, relational
 
-    return QUERIES | experiments.QUERIES | relational.QUERIES
+    return QUERIES | experiments.QUERIES | relational.QUERIES | comparison.QUERIES
 
 
 def oracle_sql():
-    from graphdist import experiments, relational
+    from graphdist import comparison, experiments, relational
 
-    return ORACLES | experiments.ORACLES | relational.ORACLES
+    return ORACLES | experiments.ORACLES | relational.ORACLES | comparison.ORACLES
