@@ -340,7 +340,8 @@ def property_matrix(s, d):
         else:
             some = a.filter(F.col("lm").isin(ids[0], ids[-1])).join(marked, "v", "left_anti").select(*columns)
             parallel = _same(some, parts[0].union(parts[1]).join(marked, "v", "left_anti").select(*columns))
-        hop = None if name in ("gateway", "pruned_cover") else _two_hop_redundant(tree(a)).isEmpty()
+        whole = tree(full_of(s, d, g, k)) if name == "full_table" else tree(a)  # hubs need their own rows
+        hop = None if name in ("gateway", "pruned_cover") else _two_hop_redundant(whole).isEmpty()
         cover = verify.redundant(tree(a).join(marked, "v", "left_anti"), matrix).isEmpty()
         rows.append((name, not _same(a, b.select(*columns)), hop, cover, parallel))
     # the peeling has no landmarks: its order is that of degrees, and a level needs the one before it
