@@ -376,7 +376,10 @@ def thread_scaling(s, d):
 
 @register("tradeoff_scales")
 def tradeoff_scales(s, d):
-    """(graph, n, m, method, entries, construct_seconds, query_ms): size, build and query time on three scales of network."""
+    """(graph, n, m, method, status, entries, construct_seconds, query_ms): size, build and query time on three scales of network.
+
+    DNF: a step took longer than the limit; what it would have given is NULL.
+    """
     rows = []
     for g in ("geo", "succession", "supply"):
         e, r, p = edges_of(s, d, g), marks_of(s, d, g), pairs_of(s, d, g)
@@ -385,11 +388,13 @@ def tradeoff_scales(s, d):
             ("gateway", lambda: cut(gateway.build(e, r)[0]), lambda x: index_of(s, d, g).distance(p)),
             ("mask_hybrid", lambda: cut(mask_hybrid.labels(e, r)), lambda x: mask_hybrid.distance(e, r, x, p)),
         ):
-            _, ct, labels = within(s, LIMIT, build)
+            status, ct, labels = within(s, LIMIT, build)
             index_of(s, d, g)
-            _, qt, _ = within(s, LIMIT, lambda: cut(ask(labels).select("pair_id", "dist")))
-            rows.append((g, n, m, name, labels.count(), ct, 1000 * qt / asked))
-    return s.createDataFrame(rows, "graph string, n long, m long, method string, entries long, construct_seconds double, query_ms double")
+            qt = None
+            if status == "ok":
+                status, qt, _ = within(s, LIMIT, lambda: cut(ask(labels).select("pair_id", "dist")))
+            rows.append((g, n, m, name, status, labels.count() if labels is not None else None, ct, 1000 * qt / asked if status == "ok" else None))
+    return s.createDataFrame(rows, "graph string, n long, m long, method string, status string, entries long, construct_seconds double, query_ms double")
 
 
 # the table function as a query --------------------------------------------------------------------------------
