@@ -159,6 +159,22 @@ def test_substring_dedup_passes_on_hot_buckets(make_docs, corpus):
     assert whole == key(substring_dedup.remove_repeats(docs, buckets=2, held=500).collect()) and any(r[2] for r in whole)
 
 
+def test_substring_buckets_stay_below_what_a_task_holds(spark, make_docs):
+    r = random.Random(12)
+    common, rare = [f"common{k}" for k in range(9)], iter(range(10**9))
+    texts = [" ".join(r.choice(common) if r.random() < 0.7 else f"rare{next(rare)}" for _ in range(300)).encode() for _ in range(60)]
+    size = sum(map(len, texts))
+    docs = make_docs([(n, t.decode()) for n, t in enumerate(texts)])
+    ranks = substring_dedup._ranks(substring_dedup.frequent_words(docs, size))
+    strings = {}
+    for t in texts:
+        for _, _, v, s in substring_dedup._runs(t, 13, ranks):
+            strings[v] = strings.get(v, 0) + len(s)
+    # the strings are larger than the text: the buckets must be counted for them, and no frequent word may hold many
+    assert sum(strings.values()) / substring_dedup.bucket_count(100 * size << 20, 1) * (100 << 20) <= 1.2 * substring_dedup.BUCKET
+    assert max(strings.values()) < 0.02 * sum(strings.values())
+
+
 def test_near_duplicates_keep_one_text_of_a_repeated_id(make_docs):
     a, b = "one two three four five six seven", "other words that stand quite alone here"
     rows = [(1, a), (1, b), (2, a), (3, b), (3, b), (None, a)]
