@@ -1,3 +1,5 @@
+import random
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
@@ -129,3 +131,20 @@ def test_stream_answers_and_edge_log(spark, tmp_path):
     q = jobs.running_degree(_stream(spark, raw.select("src", "dst"), str(tmp_path / "e2"))).writeStream.format("memory").queryName("deg").outputMode("update").trigger(availableNow=True).start()
     q.awaitTermination(120)
     assert {(r["id"], r["deg"]) for r in spark.table("deg").collect()} == {(1, 3), (2, 2), (3, 2), (4, 1)}
+
+
+def test_knn_by_blocks(spark, tmp_path, monkeypatch):
+    r = random.Random(5)
+    rows = [(n, [r.choice((-1.0, 0.5, 2.0)) for _ in range(3)]) for n in range(70)] + [(100, None), (101, [1.0, None, 2.0])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    monkeypatch.setattr(datasets, "BLOCK", 16)  # five blocks; ties within and between them
+    norm = lambda v: sum(x * x for x in v) ** 0.5
+    want = set()
+    for a, va in rows:
+        cos = lambda vb: sum(x * y for x, y in zip(va, vb)) / (norm(va) * norm(vb)) if va and vb and None not in va and None not in vb else None  # noqa: B023, E731
+        best = sorted((b for b in rows if b[0] != a), key=lambda b: ((c := cos(b[1])) is None, -(c or 0), b[0]))[:5]
+        want |= {(a, b) for b, _ in best} | {(b, a) for b, _ in best}
+    found = lambda: datasets.knn(spark, str(tmp_path))
+    assert {(x["src"] % datasets.UNIT, x["dst"] % datasets.UNIT) for x in found().collect()} == want
+    spark.createDataFrame(rows[:70], "vec_id long, embedding array<double>").write.mode("overwrite").parquet(f"{tmp_path}/embeddings.parquet")
+    assert "NestedLoop" not in found()._jdf.queryExecution().toString()  # no row by row product of the table with itself
