@@ -148,3 +148,9 @@ def test_knn_by_blocks(spark, tmp_path, monkeypatch):
     assert {(x["src"] % datasets.UNIT, x["dst"] % datasets.UNIT) for x in found().collect()} == want
     spark.createDataFrame(rows[:70], "vec_id long, embedding array<double>").write.mode("overwrite").parquet(f"{tmp_path}/embeddings.parquet")
     assert "NestedLoop" not in found()._jdf.queryExecution().toString()  # no row by row product of the table with itself
+
+
+def test_table_function_gets_only_the_edges_it_reads(spark):
+    path = graph.build(spark.createDataFrame([(n, n + 1) for n in range(40)], "src long, dst long"))
+    got = udfs.within_reach(path, spark.createDataFrame([(20,)], "id long"), 2)
+    assert {tuple(r) for r in got.collect()} == {(a, b) for a in (19, 20, 21) for b in (a - 1, a + 1)}
