@@ -227,3 +227,20 @@ def test_ranked_ids_and_pairs(spark):
     ids = spark.range(1, 500, 3).withColumnRenamed("id", "id")
     got = sorted(rows(graph.ranked(ids), "rank", "id"))
     assert got == list(enumerate(range(1, 500, 3)))
+
+
+def test_local_search_leaves_the_graph_off_the_driver(spark, monkeypatch):
+    from graphdist.operators import local_search
+
+    edges = cut(graph.build(spark.createDataFrame(GRAPHS["grid5"], "src long, dst long")))
+    truth = all_pairs(adjacency(GRAPHS["grid5"]))
+    pairs = spark.createDataFrame([(n, s, t, None if n % 2 else 3) for n, (s, t) in enumerate(truth)] + [(9999, 0, 77, None)], "pair_id long, s long, t long, ub int")
+
+    def refuse(self):
+        raise AssertionError("the graph was collected")
+
+    monkeypatch.setattr(type(edges), "toPandas", refuse)
+    monkeypatch.setattr(local_search, "GROUP", 100)
+    got = {r["pair_id"]: r["core_d"] for r in local_search.bounded(edges, pairs).collect()}
+    want = {n: d if n % 2 or d <= 3 else None for n, d in enumerate(truth.values())}
+    assert got == want | {9999: None}
