@@ -154,3 +154,12 @@ def test_table_function_gets_only_the_edges_it_reads(spark):
     path = graph.build(spark.createDataFrame([(n, n + 1) for n in range(40)], "src long, dst long"))
     got = udfs.within_reach(path, spark.createDataFrame([(20,)], "id long"), 2)
     assert {tuple(r) for r in got.collect()} == {(a, b) for a in (19, 20, 21) for b in (a - 1, a + 1)}
+
+
+def test_queries_read_their_tables_at_every_call(spark, tmp_path):
+    q = workloads.queries()
+    for sizes in ((1, 2), (1, 2, 3)):
+        rows = [(n, f"Brand#1{n % 2}", size) for n, size in enumerate(sizes)]
+        spark.createDataFrame(rows, "p_partkey long, p_brand string, p_size int").write.mode("overwrite").parquet(f"{tmp_path}/part.parquet")
+        assert q["gateway_labels_example14"](spark, str(tmp_path)).count() == {2: 1, 3: 2}[len(sizes)]
+        assert q["all_pairs_example"](spark, str(tmp_path)).filter("dist = 1").count() == 2 * len(sizes)
