@@ -262,3 +262,38 @@ def test_native_plans_have_no_python(make_docs, corpus):
 
 def test_digest_is_sha256_of_kept():
     assert hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
+
+
+@pytest.mark.parametrize("split", [4096, 8])
+def test_line_dedup_loses_no_pair_of_a_bucket(make_docs, monkeypatch, split):
+    """Whatever the sketches propose, and however a bucket is dealt: lines that share a bucket and are similar enough are linked."""
+    monkeypatch.setattr(line_dedup, "_APART", -1)
+    monkeypatch.setattr(line_dedup, "_SPLIT", split)
+    monkeypatch.setattr(line_dedup, "_SAMPLE", 1)
+    r = random.Random(11)
+    lines = []
+    for _ in range(3):
+        t = sentence(r, 30).split()
+        for _ in range(25):
+            x = list(t)
+            for k in r.sample(range(30), r.randrange(1, 5)):
+                x[k] = r.choice(WORDS)
+            lines.append(" ".join(x))
+    lines += ["ab " * n + "end" for n in (60, 61, 90)] + [sentence(r, 1), "one two"]
+    docs = make_docs(list(enumerate(lines)))
+    occ = line_dedup._occurrences(docs)
+    at = {x["id"]: lines.index(x["line"]) for x in occ.select("id", "line").distinct().collect()}
+    buckets = {}
+    for x in line_dedup._signatures(occ, 8, 7, 3).select("id", "keys.bucket").collect():
+        for b in x["bucket"]:
+            buckets.setdefault(b, set()).add(at[x["id"]])
+    s = [shingles(x) for x in lines]
+    pairs = {(i, j) for m in buckets.values() for i in m for j in m if i < j and len(s[i] & s[j]) >= 0.8 * len(s[i] | s[j])}
+    want = classes(len(lines), pairs)
+    found = {}
+    for x in line_dedup.line_components(docs).collect():
+        found.setdefault(x["component"], set()).add(at[x["id"]])
+    groups = {}
+    for i, c in enumerate(want):
+        groups.setdefault(c, set()).add(lines.index(lines[i]))
+    assert sorted(map(sorted, found.values())) == sorted(sorted(g) for g in groups.values() if len(g) > 1) and len(pairs) > 30
