@@ -190,6 +190,34 @@ def test_pruned_labels_with_masks_are_exact(spark):
     assert lab.count() <= 6
 
 
+def test_pruned_labels_after_masks_need_no_search(spark, monkeypatch):
+    import random
+
+    monkeypatch.setattr(two_hop, "_levels", None)
+    r = random.Random(7)
+    for raw in (EXAMPLE, [(r.randrange(30), r.randrange(30)) for _ in range(45)]):
+        near, e = adjacency(raw), edges(spark, raw)
+        order = cut(lmk.top_degree(e, 4))
+        ids = [x["id"] for x in order.orderBy("rank").collect()]
+        roots = cut(order.filter("rank < 1"))
+        hubs = {ids[0]} | {x["u"] for x in mask_hybrid.choose_neighbours(e, roots, 2).collect()}
+        want = set()
+        for i, lm in enumerate(ids[1:]):
+            away = {h: bfs(near, h) for h in hubs | set(ids[1 : 1 + i])}
+            want |= {(v, lm, d) for v, d in bfs(near, lm).items() if v == lm or not any(lm in x and x[lm] + x[v] <= d for x in away.values())}
+        after = cut(order.filter("rank >= 1"))
+        got = two_hop.pruned_after_masks(cut(search_levels.levels(e, after)), after, cut(mask_hybrid.labels(e, roots, width=2)))
+        assert sorted((x["v"], x["lm"], x["d"]) for x in got.collect()) == sorted(want)
+
+
+def test_pruned_labels_of_a_vertex_meet_in_one_row(spark):
+    """No landmark's distances are joined with those of every other: the only exchange is by vertex."""
+    e = edges(spark, GRAPHS["grid5"])
+    r = lmk.explicit(spark, [0, 7, 12, 18])
+    plan = two_hop.pruned_from_full(cut(search_levels.levels(e, r)), r)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and plan.count("Exchange hashpartitioning") == 1
+
+
 def test_codec(spark, example):
     for bits in (8, 32):
         back = codec.unpack(codec.pack(example.labels, example.landmarks, bits), example.landmarks, bits)
