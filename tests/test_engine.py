@@ -218,6 +218,15 @@ def test_pruned_labels_of_a_vertex_meet_in_one_row(spark):
     assert "Join" not in plan and plan.count("Exchange hashpartitioning") == 1
 
 
+def test_levels_by_masks(spark):
+    """All sources in one mask, more than a word of them, parts that no source reaches; a level is stored once a vertex."""
+    raw = GRAPHS["grid5"] + [(100, i) for i in range(101, 165)] + [(0, 70)]
+    near, e = adjacency(raw), edges(spark, raw)
+    for ids in ([0, 12, 100], [*range(25), *range(100, 144)], []):
+        got = [tuple(x) for x in search_levels.levels_by_masks(e, lmk.explicit(spark, ids)).select("lm", "v", "d").collect()]
+        assert sorted(got) == sorted((s, v, d) for s in ids for v, d in bfs(near, s).items())
+
+
 def test_codec(spark, example):
     for bits in (8, 32):
         back = codec.unpack(codec.pack(example.labels, example.landmarks, bits), example.landmarks, bits)
