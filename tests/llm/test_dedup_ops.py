@@ -297,3 +297,18 @@ def test_line_dedup_loses_no_pair_of_a_bucket(make_docs, monkeypatch, split):
     for i, c in enumerate(want):
         groups.setdefault(c, set()).add(lines.index(lines[i]))
     assert sorted(map(sorted, found.values())) == sorted(sorted(g) for g in groups.values() if len(g) > 1) and len(pairs) > 30
+
+
+def test_line_profiles_bound_the_shingles_from_both_sides(spark):
+    texts = {1: "abc", 2: "ab" * 40, 3: "the quick brown fox jumps over the lazy dog", 4: "the quick brown fox jumped over the lazy dog", 5: "né😀 " * 9, 6: "x1y2z3" * 30 + "tail"}
+    rows = spark.createDataFrame([(k, bytearray(v.encode("utf-16-be"))) for k, v in texts.items()], "id long, u binary")
+    sets = {k: {b[i : i + 16] for i in range(0, max(len(b) - 16, 0) + 1, 2)} for k, b in ((k, v.encode("utf-16-be")) for k, v in texts.items())}
+    got = {r["id"]: r for r in line_dedup._profiles(rows, 8).collect()}
+    assert set(got) == set(texts)
+    words = [f"b{k}" for k in range(line_dedup._WORDS_OF_BITS)]
+    for a in texts:
+        assert 1 <= got[a]["p"] <= len(sets[a]) <= got[a]["n"]
+        assert sum(bin(got[a][w] & (2**64 - 1)).count("1") for w in words) == got[a]["p"]
+        for b in texts:
+            differ = sum(bin((got[a][w] ^ got[b][w]) & (2**64 - 1)).count("1") for w in words)
+            assert differ <= len(sets[a] ^ sets[b]) and (a == b) == (differ == 0)
