@@ -281,3 +281,28 @@ def test_local_search_leaves_the_graph_off_the_driver(spark, monkeypatch):
     got = {r["pair_id"]: r["core_d"] for r in local_search.bounded(edges, pairs).collect()}
     want = {n: d if n % 2 or d <= 3 else None for n, d in enumerate(truth.values())}
     assert got == want | {9999: None}
+
+
+def test_peeling_keeps_no_level_that_is_done(spark, tmp_path, monkeypatch):
+    """Labels without the residual graph: least ways up as by plain search, and on disk only the rows of the removed vertices."""
+    monkeypatch.setattr("graphdist.runtime.checkpoint_dir", lambda _: str(tmp_path))
+    raw = [(i, (i * 7 + 3) % 40) for i in range(40)] + [(i, (i * 11 + 5) % 40) for i in range(40)] + [(50, 51), (51, 52)]
+    e = graph.build(spark.createDataFrame(raw, "src long, dst long"))
+    ups, residual = independent_set.peel(e, residual=False)
+    stars = ups.collect()
+    assert residual is None and len({r["level"] for r in stars}) > 1
+    assert len(list(tmp_path.glob("graphdist-peel-*"))) <= len({r["level"] for r in stars}) + 1
+    want, above = {}, {}
+    for r in stars:
+        above.setdefault(r["v"], []).append((r["up"], r["w"]))
+    for v in {x for r in raw for x in r if r[0] != r[1]}:
+        best, todo = {v: 0}, [v]
+        while todo:
+            x = todo.pop()
+            for up, w in above.get(x, []):
+                if best[x] + w < best.get(up, 10**9):
+                    best[up] = best[x] + w
+                    todo.append(up)
+        want |= {(v, up): d for up, d in best.items()}
+    got = independent_set.labels(ups, graph.vertices(e)).collect()
+    assert len(got) == len(want) and {(r["v"], r["anc"]): r["d"] for r in got} == want
