@@ -1,3 +1,5 @@
+import re
+
 import pytest
 from helpers import GRAPHS, adjacency, all_pairs, bfs, gateway_labels, some_path_labels
 from pyspark.sql import functions as F
@@ -306,3 +308,28 @@ def test_peeling_keeps_no_level_that_is_done(spark, tmp_path, monkeypatch):
         want |= {(v, up): d for up, d in best.items()}
     got = independent_set.labels(ups, graph.vertices(e)).collect()
     assert len(got) == len(want) and {(r["v"], r["anc"]): r["d"] for r in got} == want
+
+
+def test_dealt_edges_are_read_in_place(spark):
+    near = adjacency(GRAPHS["grid5"])
+    e = edges(spark, GRAPHS["grid5"])
+    held = lambda: spark.sparkContext._jsc.getPersistentRDDs().size()
+    before, limit = held(), spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    dealt, again = graph.deal(e, [12]), graph.deal(e, [12])
+    graph.undeal(again)
+    assert held() == before + 1  # the first is still there
+    sent = cut(spark.createDataFrame([(12, 1), (0, 2), (24, 4), (99, 8)], "v long, m long"))
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        got = graph.to_neighbours(sent, dealt)
+        assert sorted(tuple(r) for r in got.collect()) == sorted((w, m) for v, m in ((12, 1), (0, 2), (24, 4)) for w in near[v])
+        plan = got._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+    assert "SortMergeJoin [src#" in plan  # by the order in which the edges lie
+    assert not re.search(r"Exchange hashpartitioning\(src#\d+L?, \d+\), ENSURE_REQUIREMENTS", plan)
+    assert sorted(r["id"] for r in graph.dealt_vertices(dealt).collect()) == list(range(25))
+    graph.undeal(dealt)
+    roots = lmk.explicit(spark, [12, 3])
+    gateway.build(e, roots, "sequential"), search_levels.levels_by_masks(e, roots), mask_hybrid.labels(e, roots)
+    assert held() == before
