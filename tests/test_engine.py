@@ -333,3 +333,15 @@ def test_dealt_edges_are_read_in_place(spark):
     roots = lmk.explicit(spark, [12, 3])
     gateway.build(e, roots, "sequential"), search_levels.levels_by_masks(e, roots), mask_hybrid.labels(e, roots)
     assert held() == before
+
+
+def test_failed_build_keeps_no_edges(spark):
+    class Stop(list):
+        def append(self, x):
+            raise InterruptedError
+
+    e, held = edges(spark, GRAPHS["grid5"]), lambda: spark.sparkContext._jsc.getPersistentRDDs().size()
+    before = held()
+    with pytest.raises(InterruptedError):
+        gateway.build(e, lmk.explicit(spark, [12, 3]), trace=Stop())
+    assert held() == before
